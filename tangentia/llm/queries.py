@@ -18,6 +18,12 @@ def tokenizer_file() -> str:
     return str(public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op2_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tangentia.llm.setsketch import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents"), width=4, threshold=0.8)
+
+
 def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from tangentia.llm.tokens import count_tokens
 
@@ -49,9 +55,20 @@ def op10_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op3_token_counts, op6_warc, op7_top_k, op9_url_rules, op10_mix)}
-
-
+    return {f.__name__: f for f in (op2_near_duplicates, op3_token_counts, op6_warc, op7_top_k, op9_url_rules, op10_mix)}
+
+
+OP2_SQL = r"""
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+s AS (SELECT DISTINCT doc_id, md5(array_to_string(list_slice(w, i, least(i + 3, len(w))), ' ')) AS g FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - 2, 2))) AS i FROM w WHERE len(w) > 0)),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+p AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS k FROM s a JOIN s b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL),
+e AS MATERIALIZED (SELECT a, b FROM p JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * k >= 80 * (x.n + y.n - k)),
+both_ways AS MATERIALIZED (SELECT a, b FROM e UNION SELECT b, a FROM e),
+r(doc_id, c) AS (SELECT doc_id, doc_id FROM documents UNION SELECT b, c FROM r JOIN both_ways ON a = r.doc_id)
+SELECT d.doc_id, CAST(coalesce(n, 0) AS BIGINT) AS n_shingles, m.c AS component_id, m.c = d.doc_id AS kept
+FROM documents d LEFT JOIN n ON n.doc_id = d.doc_id JOIN (SELECT doc_id, min(c) AS c FROM r GROUP BY doc_id) m ON m.doc_id = d.doc_id
+"""
 OP6_SQL = r"""
 WITH p AS (SELECT page_id, coalesce(html, '') AS html, octet_length(encode(coalesce(html, ''))) AS n, sha1(coalesce(html, '')) AS d FROM pages),
 g AS (SELECT d, max(page_id) AS last_id FROM p WHERE n >= 1000 GROUP BY d)
@@ -94,4 +111,4 @@ FROM p
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op6_warc": OP6_SQL, "op7_top_k": OP7_SQL, "op9_url_rules": OP9_SQL, "op10_mix": OP10_SQL}
+    return {"op2_near_duplicates": OP2_SQL, "op6_warc": OP6_SQL, "op7_top_k": OP7_SQL, "op9_url_rules": OP9_SQL, "op10_mix": OP10_SQL}

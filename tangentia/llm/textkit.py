@@ -130,10 +130,10 @@ def shingle_sets(buf: np.ndarray, offs: np.ndarray, width: int) -> list[np.ndarr
         if b - a >= width:
             out.append(np.unique(combined[a : b - width + 1]))
         elif b > a:
-            s = np.uint64(int(b - a))
-            for k in range(int(b - a)):
-                s = s * BASE + h[a + k] if k else h[a] + s
-            out.append(mix(np.asarray([s], np.uint64)))
+            s = np.full(1, b - a, np.uint64)
+            for k in range(a, b):
+                s = s * BASE + h[k]
+            out.append(mix(s))
         else:
             out.append(np.zeros(0, np.uint64))
     return out
