@@ -18,6 +18,12 @@ def tokenizer_file() -> str:
     return str(public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tangentia.llm.quality import quality_scores
+
+    return quality_scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op2_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     from tangentia.llm.setsketch import near_duplicates
 
@@ -30,6 +36,12 @@ def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(table(spark, sf_dir, "documents"), tokenizer_file())
 
 
+def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tangentia.llm.toxicity import toxicity_scores
+
+    return toxicity_scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), spans=False)
+
+
 def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     from tangentia.llm.warc import round_trip
 
@@ -55,7 +67,7 @@ def op10_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op2_near_duplicates, op3_token_counts, op6_warc, op7_top_k, op9_url_rules, op10_mix)}
+    return {f.__name__: f for f in (op1_quality, op2_near_duplicates, op3_token_counts, op5_toxicity, op6_warc, op7_top_k, op9_url_rules, op10_mix)}
 
 
 OP2_SQL = r"""

@@ -92,19 +92,25 @@ def word_spans(buf: np.ndarray, offs: np.ndarray, table: np.ndarray) -> tuple[np
     return text, starts, ends
 
 
+class SpanHasher:
+    """64-bit hashes of spans of one buffer, A-Z lower-cased if asked: prefix sums of a polynomial, then a finaliser."""
+
+    def __init__(self, buf: np.ndarray, lower: bool = True):
+        n = len(buf)
+        power, self.inverse = _power_tables(n + 1)
+        v = (LOWER[buf] if lower else buf).astype(np.uint64)
+        v += np.uint64(1)
+        v *= power[:n]
+        self.total = np.zeros(n + 1, np.uint64)
+        np.cumsum(v, out=self.total[1:])
+
+    def __call__(self, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        h = (self.total[ends] - self.total[starts]) * self.inverse[starts]
+        return mix(h + (ends - starts).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
+
+
 def span_hashes(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, lower: bool = True) -> np.ndarray:
-    """64-bit hash of the bytes of each span, A-Z lower-cased if asked: prefix sums of a polynomial, then a finaliser."""
-    n = len(buf)
-    if n == 0 or len(starts) == 0:
-        return np.zeros(len(starts), np.uint64)
-    power, inverse = _power_tables(n + 1)
-    v = (LOWER[buf] if lower else buf).astype(np.uint64)
-    v += np.uint64(1)
-    v *= power[:n]
-    total = np.zeros(n + 1, np.uint64)
-    np.cumsum(v, out=total[1:])
-    h = (total[ends] - total[starts]) * inverse[starts]
-    return mix(h + (ends - starts).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
+    return SpanHasher(buf, lower)(starts, ends)
 
 
 def text_counts(text: np.ndarray, n: int) -> np.ndarray:
