@@ -54,6 +54,12 @@ def op7_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_k(table(spark, sf_dir, "embeddings"))
 
 
+def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tangentia.llm.decontamination import leaks
+
+    return leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op9_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     from tangentia.llm.urls import judge_urls
 
@@ -67,7 +73,7 @@ def op10_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_quality, op2_near_duplicates, op3_token_counts, op5_toxicity, op6_warc, op7_top_k, op9_url_rules, op10_mix)}
+    return {f.__name__: f for f in (op1_quality, op2_near_duplicates, op3_token_counts, op5_toxicity, op6_warc, op7_top_k, op8_decontaminate, op9_url_rules, op10_mix)}
 
 
 OP2_SQL = r"""

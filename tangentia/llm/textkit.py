@@ -113,6 +113,16 @@ def span_hashes(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, lower: bo
     return SpanHasher(buf, lower)(starts, ends)
 
 
+def fold_case(buf: np.ndarray) -> np.ndarray:
+    """Lower case of A-Z and of the accented letters of Latin-1, which lie 20 hex below theirs in the same UTF-8 row."""
+    out = LOWER[buf]
+    if len(out) > 1:
+        second = out[1:]
+        upper = (buf[:-1] == 0xC3) & (second >= 0x80) & (second <= 0x9E) & (second != 0x97)
+        second[upper] += 32
+    return out
+
+
 def text_counts(text: np.ndarray, n: int) -> np.ndarray:
     return np.bincount(text, minlength=n) if len(text) else np.zeros(n, np.int64)
 
