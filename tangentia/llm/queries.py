@@ -36,6 +36,12 @@ def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(table(spark, sf_dir, "documents"), tokenizer_file())
 
 
+def op4_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tangentia.llm.pii import report
+
+    return report(table(spark, sf_dir, "documents"))
+
+
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     from tangentia.llm.toxicity import toxicity_scores
 
@@ -73,7 +79,7 @@ def op10_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_quality, op2_near_duplicates, op3_token_counts, op5_toxicity, op6_warc, op7_top_k, op8_decontaminate, op9_url_rules, op10_mix)}
+    return {f.__name__: f for f in (op1_quality, op2_near_duplicates, op3_token_counts, op4_personal_data, op5_toxicity, op6_warc, op7_top_k, op8_decontaminate, op9_url_rules, op10_mix)}
 
 
 OP2_SQL = r"""
