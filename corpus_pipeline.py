@@ -9,7 +9,6 @@ in training order: the document's columns, epoch, taken (words that this pass ta
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from tangentia.llm.decontamination import drop_leaks
 from tangentia.llm.mixing import curriculum
@@ -36,10 +35,7 @@ def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Positions are joined back to the documents and sorted by range; ids that repeat were made one by the second stage."""
-    order = curriculum(docs).select("doc_id", "epoch", "taken", "position", "digest")
-    known = docs.where("doc_id IS NOT NULL").join(order, "doc_id")
-    return known.repartitionByRange("position", "digest").sortWithinPartitions("position", "digest").select(*docs.columns, "epoch", "taken", "position")
+    return curriculum(docs)
 
 
 STAGES = [

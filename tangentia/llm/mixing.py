@@ -43,29 +43,31 @@ def source_targets(sources: DataFrame, weights: tuple[int, ...] = (3, 1, 2), sha
     return t.select("source", "source_size", F.when(F.col("full"), F.col("cap")).otherwise(F.coalesce(last, F.lit(0.0)) * F.col("weight")).alias("target"))
 
 
-def place_documents(docs: DataFrame, weights=(3, 1, 2), share: float = 1.5, most: float = 2.0, seed: int = 0) -> DataFrame:
-    """(doc_id, source, size, source_size, target, start, taken, digest): ``start`` is the word of its source at which a document begins.
+def place_documents(docs: DataFrame, weights=(3, 1, 2), share: float = 1.5, most: float = 2.0, seed: int = 0, carry: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, source, size, source_size, target, start, taken, digest, row): ``start`` is the word of its source at which a document begins.
 
-    Null texts have size 0 and take nothing; null sources are one source; repeated rows lie one after
-    another; rows with no doc_id are placed as all others; an empty table gives no rows.
+    ``row`` has the columns named in ``carry``, none by default. Null texts have size 0 and take nothing; null sources
+    are one source; repeated rows lie one after another; rows with no doc_id are placed as all others; an empty
+    table gives no rows.
     """
     hashed = F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("doc_id").cast("string")))
-    rows = docs.select("doc_id", "source", document_size(F.col("text")).alias("size"), hashed.alias("digest"))
+    name = F.when(F.col("source").isNull(), F.lit("")).otherwise(F.concat(F.lit("="), F.col("source").cast("string")))
+    row = F.struct(*carry) if carry else F.struct(F.lit(0).alias("none"))
+    rows = docs.select("doc_id", "source", name.alias("name"), document_size(F.col("text")).alias("size"), hashed.alias("digest"), row.alias("row"))
     rows = rows.withColumn("slice", F.substring("digest", 1, SLICE_DIGITS))
-    slices = rows.groupBy("source", "slice").agg(F.sum("size").alias("slice_size"))
-    targets = source_targets(slices.groupBy("source").agg(F.sum("slice_size").alias("source_size")), weights, share, most)
-    along = Window.partitionBy("source").orderBy("slice").rowsBetween(Window.unboundedPreceding, -1)
-    slices = slices.withColumn("slice_start", F.coalesce(F.sum("slice_size").over(along), F.lit(0))).drop("slice_size")
-    slices = slices.join(targets.withColumnRenamed("source", "s2"), F.col("source").eqNullSafe(F.col("s2"))).drop("s2")
-    slices = slices.select(F.col("source").alias("s2"), F.col("slice").alias("k2"), "slice_start", "source_size", "target")
-    within = Window.partitionBy("source", "slice").orderBy("digest", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
-    placed = rows.withColumn("before", F.coalesce(F.sum("size").over(within), F.lit(0)))
-    placed = placed.join(slices, F.col("source").eqNullSafe(F.col("s2")) & (F.col("slice") == F.col("k2"))).drop("s2", "k2")
+    slices = rows.groupBy("name", "slice").agg(F.sum("size").alias("slice_size"))
+    sources = slices.groupBy("name").agg(F.sum("slice_size").alias("source_size")).withColumn("source", F.when(F.col("name") != "", F.substring("name", 2, 1 << 30)))
+    targets = source_targets(sources, weights, share, most)
+    targets = targets.withColumn("name", F.when(F.col("source").isNull(), F.lit("")).otherwise(F.concat(F.lit("="), F.col("source")))).drop("source")
+    along = Window.partitionBy("name").orderBy("slice").rowsBetween(Window.unboundedPreceding, -1)
+    slices = slices.withColumn("slice_start", F.coalesce(F.sum("slice_size").over(along), F.lit(0))).drop("slice_size").join(targets, "name")
+    within = Window.partitionBy("name", "slice").orderBy("digest", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
+    placed = rows.withColumn("before", F.coalesce(F.sum("size").over(within), F.lit(0))).join(slices, ["name", "slice"])
     start, goal = F.col("slice_start") + F.col("before"), F.round("target").cast("long")
     part = lambda at: F.greatest(F.lit(0), F.least(F.col("size"), goal - at))
     passes = int(most) + (most > int(most))
     taken = sum((part(start + F.lit(k) * F.col("source_size")) for k in range(1, passes)), part(start))
-    return placed.select("doc_id", "source", "size", "source_size", "target", start.alias("start"), taken.cast("long").alias("taken"), "digest")
+    return placed.select("doc_id", "source", "size", "source_size", "target", start.alias("start"), taken.cast("long").alias("taken"), "digest", "row")
 
 
 def training_time(fraction: Column, slope: Column) -> Column:
@@ -78,18 +80,20 @@ def training_time(fraction: Column, slope: Column) -> Column:
 
 
 def curriculum(docs: DataFrame, weights=(3, 1, 2), share: float = 1.5, most: float = 2.0, seed: int = 0) -> DataFrame:
-    """One row for each pass over a document: doc_id, source, epoch, taken (words of this pass) and position in [0, 1].
+    """The mix in training order: ``docs``' columns, epoch, taken (words of this pass) and position in [0, 1], a row for each pass over a document.
 
-    A source's weight falls, rises or stays level over training, as the hash of its name has it.
-    Documents of no words, or beyond the target, have no row. Sort by position for the training order.
+    A source's weight falls, rises or stays level over training, as the hash of its name has it. Documents of no
+    words, or wholly beyond the target, have no row. Columns of ``docs`` that are named like the new ones are replaced.
     """
-    placed = place_documents(docs, weights, share, most, seed)
+    columns = [c for c in docs.columns if c not in ("epoch", "taken", "position")]
+    placed = place_documents(docs, weights, share, most, seed, tuple(columns))
     passes = int(most) + (most > int(most))
-    rows = placed.withColumn("epoch", F.explode(F.sequence(F.lit(0), F.lit(passes - 1))))
-    start = F.col("start") + F.col("epoch") * F.col("source_size")
     goal = F.round("target").cast("long")
+    left = lambda k: goal - F.col("start") - k * F.col("source_size")
+    turns = F.filter(F.sequence(F.lit(0), F.lit(passes - 1)), lambda k: (left(k) > 0) & (F.col("size") > 0))
+    rows = placed.withColumn("epoch", F.explode(turns))
     slope = F.element_at(F.array(*[F.lit(x) for x in (-0.5, 0.5, 0.0)]), (F.pmod(F.crc32(F.coalesce("source", F.lit(""))), F.lit(3)) + 1).cast("int"))
-    rows = rows.withColumn("words", F.greatest(F.lit(0), F.least(F.col("size"), goal - start))).where("words > 0")
-    return rows.select(
-        "doc_id", "source", "epoch", "size", F.col("words").alias("taken"), training_time(start / goal, slope).alias("position"), "digest"
-    )
+    fraction = (F.col("start") + F.col("epoch") * F.col("source_size")) / goal
+    rows = rows.withColumn("taken", F.least(F.col("size"), left(F.col("epoch")))).withColumn("position", training_time(fraction, slope))
+    rows = rows.repartitionByRange("position", "digest").sortWithinPartitions("position", "digest")
+    return rows.select("row.*", "epoch", "taken", "position")
