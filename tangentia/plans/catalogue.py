@@ -1,11 +1,561 @@
-"""The registered queries of the reference's methods."""
+"""The registered queries of the reference's methods, and their SQL twins where SQL can express them.
+
+Values are rounded to six digits on both sides, so that the last bits of sums in another order do not matter. Queries
+run over whole tables; a batch is the first rows by id, as the method has it.
+"""
 
 from __future__ import annotations
 
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from tangentia.functions.similarity import tangent_similarity
+from tangentia.functions.vectors import vec_add, vec_cosine, vec_dist, vec_dot, vec_norm, vec_round, vec_scale, vec_sub
+from tangentia.operators import graph as G
+from tangentia.operators import metrics as M
+from tangentia.operators import neighbors as N
+from tangentia.operators import spectral as S
+from tangentia.operators import stitch as K
+from tangentia.operators.cluster import dense_labels
+from tangentia.operators.geodesic import geodesics_minplus
+from tangentia.operators.mapper import running_residual
+from tangentia.operators.tangent import local_moments, project_out
+from tangentia.sources import workloads as W
+from tangentia.sources.tables import attach_latest, is_valid, load_table, split_batch_stream
+from tangentia.streaming.engine import interval_join, quality_windows, session_windows
+
+_queries: dict = {}
+_sql: dict[str, str] = {}
+
+
+def query(sql: str | None = None):
+    def add(f):
+        _queries[f.__name__] = f
+        if sql:
+            _sql[f.__name__] = sql
+        return f
+
+    return add
+
 
 def queries() -> dict:
-    return {}
+    from tangentia.plans import experiments
+
+    return dict(_queries) | experiments.queries()
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(_sql)
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tangentia.plans import experiments
+
+    return experiments.imse_stream(spark, sf_dir)
+
+
+def r6(*names: str):
+    return [F.round(n, 6).alias(n) for n in names]
+
+
+# ---- shared pieces of SQL
+
+LATENT = "lat AS (SELECT event_id AS id, ts, user_id, (epoch_us(ts) % 3600000000) / 3.6e9::DOUBLE AS u, 1 - exp(-value / 50) AS v FROM events)"
+EMB = "e AS (SELECT vec_id AS id, list_transform(embedding, lambda a: CAST(a AS DOUBLE)) AS x, label FROM embeddings)"
+PAIRS = "pr AS (SELECT a.id AS src, b.id AS dst, list_distance(a.x, b.x) AS dist FROM e a, e b WHERE a.id <> b.id)"
+KNN = "knn AS (SELECT * FROM (SELECT *, CAST(row_number() OVER (PARTITION BY src ORDER BY dist, dst) AS INTEGER) AS rk FROM pr) WHERE rk <= {k})"
+LOCAL = "emb AS (SELECT vec_id AS id, label AS cluster, [CAST(embedding[1] AS DOUBLE), CAST(embedding[2] AS DOUBLE)] AS y, [CAST(embedding[3] AS DOUBLE), CAST(embedding[4] AS DOUBLE), CAST(embedding[5] AS DOUBLE)] AS z FROM embeddings)"
+BASES = """h AS (SELECT vec_id AS id, list_transform(embedding[1:32], lambda a: CAST(a AS DOUBLE)) AS p, list_transform(embedding[33:64], lambda a: CAST(a AS DOUBLE)) AS q FROM embeddings),
+b1 AS (SELECT id, list_transform(p, lambda a: a / sqrt(list_dot_product(p, p))) AS v1, q FROM h),
+b2 AS (SELECT id, v1, list_transform(list_zip(q, v1), lambda z: z[1] - z[2] * list_dot_product(q, v1)) AS w FROM b1),
+b AS (SELECT id, v1, list_transform(w, lambda a: a / sqrt(list_dot_product(w, w))) AS v2 FROM b2),
+t AS (SELECT a.id AS src, c.id AS dst, list_dot_product(a.v1, c.v1) AS t11, list_dot_product(a.v1, c.v2) AS t12, list_dot_product(a.v2, c.v1) AS t21, list_dot_product(a.v2, c.v2) AS t22 FROM b a JOIN b c ON c.id = a.id + 1)"""
+
+
+def embeddings(spark, sf_dir):
+    return W.raw_digits(spark, sf_dir)
+
+
+def planar(spark, sf_dir):
+    """(id, cluster, y, z): the first two and the next three coordinates of each vector, its label as its cluster."""
+    d = embeddings(spark, sf_dir)
+    return d.select("id", F.col("y_true").alias("cluster"), F.slice("x", 1, 2).alias("y"), F.slice("x", 3, 3).alias("z"))
+
+
+def bases(spark, sf_dir):
+    """Two orthonormal rows from the halves of each vector, by projection."""
+    d = embeddings(spark, sf_dir).select("id", F.slice("x", 1, 32).alias("p"), F.slice("x", 33, 32).alias("q"))
+    d = d.select("id", vec_scale("p", 1 / vec_norm("p")).alias("v1"), "q").select("id", "v1", project_out(F.col("q"), F.col("v1")).alias("w"))
+    return d.select("id", F.array("v1", vec_scale("w", 1 / vec_norm("w"))).alias("basis"))
+
+
+def basis_pairs(spark, sf_dir):
+    b = bases(spark, sf_dir)
+    return b.select(F.col("id").alias("src"), (F.col("id") + 1).alias("dst"), F.col("basis").alias("a")).join(b.select(F.col("id").alias("dst"), F.col("basis").alias("b")), "dst")
+
+
+# ---- vectors and latents
+
+
+@query(f"WITH {EMB}, j AS (SELECT a.id, a.x, b.x AS y FROM e a JOIN e b ON b.id = a.id + 1) SELECT id, round(list_dot_product(x, y), 6) AS dot, round(list_distance(x, y), 6) AS dist, round(list_cosine_similarity(x, y), 6) AS cosine, round(sqrt(list_dot_product(x, x)), 6) AS norm, list_transform(list_zip(x, y), lambda z: round(z[1] - 2 * z[2], 6)) AS combined FROM j")
+def vec_algebra(spark, sf_dir):
+    d = embeddings(spark, sf_dir)
+    j = d.select("id", "x").join(d.select((F.col("id") - 1).alias("id"), F.col("x").alias("y")), "id")
+    return j.select("id", F.round(vec_dot("x", "y"), 6).alias("dot"), F.round(vec_dist("x", "y"), 6).alias("dist"), F.round(vec_cosine("x", "y"), 6).alias("cosine"), F.round(vec_norm("x"), 6).alias("norm"), vec_round(vec_sub("x", vec_add("y", "y"))).alias("combined"))
+
+
+@query("SELECT vec_id AS id, embedding IS NOT NULL AND len(embedding) = 64 AND len(list_filter(embedding, lambda a: a IS NULL OR NOT isfinite(a))) = 0 AS valid FROM embeddings")
+def validity(spark, sf_dir):
+    e = load_table(spark, sf_dir, "embeddings")
+    return e.select(F.col("vec_id").alias("id"), is_valid("embedding", 64).alias("valid"))
+
+
+@query(f"WITH {LATENT} SELECT id, round(u, 6) AS u, round(v, 6) AS v FROM lat")
+def latent_uv(spark, sf_dir):
+    return W.latent_uv(spark, sf_dir).select("id", *r6("u", "v"))
+
+
+def _arc_sql(f: str, phase: float, s: str = "s") -> str:
+    return f"{s} * (" + " + ".join(f"{w!r} * {f}(({s} * {t!r}) * ({s} * {t!r}) / {phase})" for t, w in zip(W.NODES, W.WEIGHTS, strict=True)) + ")"
+
+
+ROLL_SQL = f"WITH {LATENT}, r AS (SELECT id, u * 6.0::DOUBLE AS s, v FROM lat) SELECT id, [round({{x}}, 6), round(v * 3.0::DOUBLE, 6), round({{z}}, 6)] AS x FROM r"
+
+
+@query(ROLL_SQL.format(x=_arc_sql("cos", 8.0), z=_arc_sql("sin", 8.0)))
+def roll_points(spark, sf_dir):
+    return W.scene(spark, sf_dir, "roll").select("id", vec_round("x").alias("x"))
+
+
+@query(ROLL_SQL.format(x=_arc_sql("cos", 4.0), z=_arc_sql("sin", 4.0)))
+def roll_tight_points(spark, sf_dir):
+    return W.scene(spark, sf_dir, "roll_tight").select("id", vec_round("x").alias("x"))
+
+
+@query(f"WITH {LATENT} SELECT id, CAST(id % 2 AS INTEGER) AS y_true, [round(sqrt(greatest(1 - (2 * v - 1) * (2 * v - 1), 0)) * cos(2 * pi() * u) + (id % 2), 6), round(sqrt(greatest(1 - (2 * v - 1) * (2 * v - 1), 0)) * sin(2 * pi() * u), 6), round(2 * v - 1, 6)] AS x FROM lat")
+def sphere_points(spark, sf_dir):
+    return W.scene(spark, sf_dir, "spheres").select("id", "y_true", vec_round("x").alias("x"))
+
+
+PATCH_S = "[1.0, 2.3, 3.7, 5.0][CAST(id % 4 AS INTEGER) + 1]::DOUBLE + r * cos(2 * pi() * u)"
+
+
+@query(f"WITH {LATENT}, r AS (SELECT *, sqrt(-2 * ln(greatest(1 - v, 1e-12))) * 0.22::DOUBLE AS r FROM lat), p AS (SELECT id, CAST(id % 4 AS INTEGER) AS y_true, {PATCH_S} AS s, [1.0, 2.2, 0.8, 2.0][CAST(id % 4 AS INTEGER) + 1]::DOUBLE + r * sin(2 * pi() * u) AS h FROM r) SELECT id, y_true, [round({_arc_sql('cos', 8.0)}, 6), round(h, 6), round({_arc_sql('sin', 8.0)}, 6)] AS x FROM p")
+def patches_points(spark, sf_dir):
+    return W.scene(spark, sf_dir, "patches").select("id", "y_true", vec_round("x").alias("x"))
+
+
+# ---- neighbours and graphs
+
+
+@query(f"WITH {EMB}, {PAIRS}, {KNN.format(k=8)} SELECT src, dst, round(dist, 6) AS dist, rk FROM knn")
+def knn_exact(spark, sf_dir):
+    return N.knn_exact(embeddings(spark, sf_dir), 8).select("src", "dst", *r6("dist"), "rk")
+
+
+@query(_sql["knn_exact"])
+def knn_broadcast(spark, sf_dir):
+    return N.knn(embeddings(spark, sf_dir), 8).select("src", "dst", *r6("dist"), "rk")
+
+
+@query(_sql["knn_exact"])
+def knn_blocked(spark, sf_dir):
+    return N.knn_blocked(embeddings(spark, sf_dir), 8, 3).select("src", "dst", *r6("dist"), "rk")
+
+
+def _grams(table: str, key: str) -> str:
+    return f"""t_{table} AS (SELECT {key} AS id, regexp_replace(lower(coalesce(text, '')), '[^a-z]', '', 'g') AS t FROM {table}),
+g_{table} AS (SELECT id, ((ascii(substr(t, CAST(k AS INTEGER), 1)) - 97) * 26 + ascii(substr(t, CAST(k + 1 AS INTEGER), 1)) - 97) * 31 % 32 AS b FROM (SELECT id, t, unnest(range(1, length(t))) AS k FROM t_{table} WHERE length(t) >= 2)),
+c_{table} AS (SELECT id, b, count(*) AS n FROM g_{table} GROUP BY ALL), s_{table} AS (SELECT id, sum(n)::DOUBLE AS n FROM c_{table} GROUP BY id),
+v_{table} AS (SELECT s.id, list(coalesce(c.n, 0) / s.n ORDER BY k) AS x FROM s_{table} s CROSS JOIN range(32) r(k) LEFT JOIN c_{table} c ON c.id = s.id AND c.b = k GROUP BY s.id)"""
+
+
+@query(f"WITH {_grams('documents', 'doc_id')} SELECT id, list_transform(x, lambda a: round(a, 6)) AS x FROM v_documents")
+def ngram_vectors(spark, sf_dir):
+    return W.ngram_vectors(spark, sf_dir).select("id", vec_round("x").alias("x"))
+
+
+@query(f"WITH {_grams('documents', 'doc_id')}, {_grams('benchmark', 'item_id')}, p AS (SELECT d.id AS src, b.id AS dst, round(list_distance(d.x, b.x), 12) AS dist FROM v_documents d, v_benchmark b) SELECT src, dst, round(dist, 6) AS dist, rk FROM (SELECT *, CAST(row_number() OVER (PARTITION BY src ORDER BY dist, dst) AS INTEGER) AS rk FROM p) WHERE rk <= 3")
+def knn_cross(spark, sf_dir):
+    """A small batch of one table, a large stream of another."""
+    batch = W.ngram_vectors(spark, sf_dir, table="benchmark", key="item_id")
+    return N.knn_cross(W.ngram_vectors(spark, sf_dir), batch, 3).select("src", "dst", *r6("dist"), "rk")
+
+
+@query(f"WITH {LATENT}, s AS (SELECT id, sqrt(greatest(1 - (2 * v - 1) * (2 * v - 1), 0)) * cos(2 * pi() * u) + (id % 2) AS a, sqrt(greatest(1 - (2 * v - 1) * (2 * v - 1), 0)) * sin(2 * pi() * u) AS b, 2 * v - 1 AS c FROM lat) SELECT p.id AS src, q.id AS dst, round(sqrt((p.a - q.a) ** 2 + (p.b - q.b) ** 2 + (p.c - q.c) ** 2), 6) AS dist FROM s p JOIN s q ON p.id <> q.id AND abs(p.a - q.a) <= 0.05 AND abs(p.b - q.b) <= 0.05 AND abs(p.c - q.c) <= 0.05 AND sqrt((p.a - q.a) ** 2 + (p.b - q.b) ** 2 + (p.c - q.c) ** 2) <= 0.05")
+def radius_neighbors(spark, sf_dir):
+    return N.radius_neighbors(W.scene(spark, sf_dir, "spheres"), 0.05).select("src", "dst", *r6("dist"))
+
+
+@query(f"WITH {EMB}, {PAIRS}, {KNN.format(k=8)} SELECT src, dst, round(min(dist), 6) AS dist FROM (SELECT src, dst, dist FROM knn UNION ALL SELECT dst, src, dist FROM knn) GROUP BY src, dst")
+def knn_union(spark, sf_dir):
+    return N.symmetrize(N.knn(embeddings(spark, sf_dir), 8), "union").select("src", "dst", *r6("dist"))
+
+
+@query(f"WITH {EMB}, {PAIRS}, {KNN.format(k=8)} SELECT a.src, a.dst, round(a.dist, 6) AS dist FROM knn a JOIN knn b ON a.src = b.dst AND a.dst = b.src")
+def knn_mutual(spark, sf_dir):
+    return N.symmetrize(N.knn(embeddings(spark, sf_dir), 8), "mutual").select("src", "dst", *r6("dist"))
+
+
+@query(f"WITH {EMB}, {PAIRS}, {KNN.format(k=8)} SELECT src, dst FROM knn EXCEPT SELECT dst, src FROM knn")
+def knn_one_way(spark, sf_dir):
+    """Set operations on arcs: those without their opposite."""
+    e = N.knn(embeddings(spark, sf_dir), 8)
+    return e.select("src", "dst").exceptAll(e.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
+
+
+@query(f"WITH {EMB}, {PAIRS} SELECT src, dst, round(dist, 6) AS dist FROM pr WHERE src < dst ORDER BY round(dist, 6) DESC, src, dst LIMIT 20")
+def farthest_pairs(spark, sf_dir):
+    d = embeddings(spark, sf_dir)
+    a, b = d.select(F.col("id").alias("src"), F.col("x").alias("a")), d.select(F.col("id").alias("dst"), F.col("x").alias("b"))
+    return a.join(F.broadcast(b), F.col("src") < F.col("dst")).select("src", "dst", F.round(vec_dist("a", "b"), 6).alias("dist")).orderBy(F.desc("dist"), "src", "dst").limit(20)
+
+
+@query(f"WITH RECURSIVE {EMB}, {PAIRS}, {KNN.format(k=1)}, w AS MATERIALIZED (SELECT src, dst FROM knn UNION SELECT dst, src FROM knn), r(id, c) AS (SELECT id, id FROM e UNION SELECT dst, c FROM r JOIN w ON src = r.id) SELECT id, min(c) AS component FROM r GROUP BY id")
+def kcc_components(spark, sf_dir):
+    d = embeddings(spark, sf_dir)
+    parts = G.connected_components(N.knn(d, 1))
+    return d.select("id").join(parts, "id", "left").select("id", F.coalesce("component", "id").alias("component"))
+
+
+@query(f"WITH RECURSIVE {EMB}, {PAIRS}, {KNN.format(k=2)}, w AS MATERIALIZED (SELECT src, dst FROM knn), o AS (SELECT id, row_number() OVER (ORDER BY id) AS k FROM e), r(id, c) AS (SELECT id, k FROM o UNION SELECT dst, c FROM r JOIN w ON src = r.id) SELECT id, min(c) AS label FROM r GROUP BY id")
+def directed_min_label(spark, sf_dir):
+    d = embeddings(spark, sf_dir)
+    return G.directed_min_label(N.knn(d, 2), G.seed_order(d, "id"))
+
+
+@query(f"WITH {EMB}, {PAIRS}, {KNN.format(k=4)}, z AS (SELECT id AS src, id AS dst, 0.0::DOUBLE AS dist FROM e), p1 AS (SELECT src, dst, dist FROM knn), p2 AS (SELECT a.src, b.dst, a.dist + b.dist AS dist FROM p1 a JOIN p1 b ON a.dst = b.src) SELECT src, dst, round(min(dist), 6) AS dist FROM (SELECT * FROM z UNION ALL SELECT * FROM p1 UNION ALL SELECT * FROM p2) GROUP BY src, dst")
+def geodesics_two_hops(spark, sf_dir):
+    return geodesics_minplus(N.knn(embeddings(spark, sf_dir), 4), hops=2).select("src", "dst", *r6("dist"))
+
+
+ALL_DISTANCES = f"{EMB}, ad AS (SELECT a.id AS src, b.id AS dst, list_distance(a.x, b.x) AS dist FROM e a, e b)"
+
+
+@query(f"WITH {ALL_DISTANCES}, s AS (SELECT *, dist * dist AS s FROM ad) SELECT src, dst, round(-0.5 * (s - avg(s) OVER (PARTITION BY src) - avg(s) OVER (PARTITION BY dst) + avg(s) OVER ()), 6) + 0.0 AS b FROM s")
+def double_center(spark, sf_dir):
+    d = embeddings(spark, sf_dir)
+    a, b = d.select(F.col("id").alias("src"), F.col("x").alias("a")), d.select(F.col("id").alias("dst"), F.col("x").alias("b"))
+    dist = a.join(F.broadcast(b)).select("src", "dst", vec_dist("a", "b").alias("dist"))
+    return S.double_center(dist).select("src", "dst", (F.round("b", 6) + 0.0).alias("b"))
+
+
+# ---- tangents
+
+
+@query(f"WITH {EMB}, {PAIRS}, {KNN.format(k=8)}, l AS (SELECT src, i - 1 AS i, j - 1 AS j, x[i] AS a, x[j] AS b FROM (SELECT src, x[1:4] AS x FROM knn JOIN e ON e.id = dst), range(1, 5) r1(i), range(1, 5) r2(j)) SELECT src, CAST(i AS INTEGER) AS i, CAST(j AS INTEGER) AS j, round(avg(a * b) - avg(a) * avg(b), 6) + 0.0 AS c FROM l GROUP BY src, i, j")
+def local_covariances(spark, sf_dir):
+    d = embeddings(spark, sf_dir)
+    edges = N.knn(d, 8)
+    return local_moments(d.select("id", F.slice("x", 1, 4).alias("x")), edges).select("src", "i", "j", (F.round("c", 6) + 0.0).alias("c"))
+
+
+def _similarity(mode: str):
+    def run(spark, sf_dir):
+        p = basis_pairs(spark, sf_dir)
+        return p.select("src", "dst", F.round(tangent_similarity("a", "b", mode, 2), 6).alias("score"))
+
+    return run
+
+
+for _mode, _expr in {
+    "l1": "(abs(t11) + abs(t22)) / 2", "l2": "sqrt((t11 * t11 + t22 * t22) / 2)", "det": "abs(t11 * t22 - t12 * t21)", "projection": "sqrt((t11 * t11 + t12 * t12 + t21 * t21 + t22 * t22) / 2)",
+    "vol": "sqrt(greatest((t11 * t11 + t12 * t12) * (t21 * t21 + t22 * t22) - (t11 * t21 + t12 * t22) ** 2, 0))",
+}.items():
+    _queries[f"similarity_{_mode}"] = _similarity(_mode)
+    _sql[f"similarity_{_mode}"] = f"WITH {BASES} SELECT src, dst, round(least({_expr}, 1), 6) AS score FROM t"
+
+
+@query(f"WITH {BASES} SELECT src, round(sqrt(t11 * t11 + t12 * t12), 6) AS score FROM t")
+def similarity_vol_unequal(spark, sf_dir):
+    """A line against a plane."""
+    p = basis_pairs(spark, sf_dir)
+    return p.select("src", F.round(tangent_similarity(F.slice("a", 1, 1), F.col("b"), "vol", 2), 6).alias("score"))
+
+
+@query(f"WITH {BASES} SELECT src, dst FROM t WHERE round(least((abs(t11) + abs(t22)) / 2, 1), 6) >= 0.1")
+def edge_filter(spark, sf_dir):
+    p = _similarity("l1")(spark, sf_dir)
+    return p.where("score >= 0.1").select("src", "dst")
+
+
+# ---- stitching and mapping
+
+
+CROSS = f"{EMB}, cp AS (SELECT a.label AS ci, b.label AS cj, a.id AS id_i, b.id AS id_j, round(list_distance(a.x, b.x), 9) AS dist FROM e a JOIN e b ON a.label < b.label)"
+NEAR = "near AS (SELECT ci, cj, id_i, id_j, dist FROM (SELECT *, row_number() OVER (PARTITION BY ci, cj ORDER BY dist, id_i, id_j) AS rk FROM cp) WHERE rk <= 4)"
+FAR = "far AS (SELECT ci, cj, id_i, id_j, dist FROM (SELECT *, row_number() OVER (PARTITION BY ci, cj ORDER BY dist DESC, id_i, id_j) AS rk FROM cp) WHERE rk <= 2)"
+
+
+def _labelled(spark, sf_dir):
+    d = embeddings(spark, sf_dir)
+    return d, d.select("id", F.col("y_true").alias("cluster"))
+
+
+@query(f"WITH {CROSS}, {NEAR} SELECT ci, cj, id_i, id_j, round(dist, 6) AS dist FROM near")
+def support_near(spark, sf_dir):
+    return K.support_near(*_labelled(spark, sf_dir), 4).select("ci", "cj", "id_i", "id_j", *r6("dist"))
+
+
+@query(f"WITH {CROSS}, {FAR} SELECT ci, cj, id_i, id_j, round(dist, 6) AS dist FROM far")
+def support_far(spark, sf_dir):
+    return K.support_far(*_labelled(spark, sf_dir), 2).select("ci", "cj", "id_i", "id_j", *r6("dist"))
+
+
+@query(f"WITH {CROSS}, {NEAR}, {FAR} SELECT ci, cj, id_i, id_j, round(dist, 6) AS dist, 'near' AS kind FROM near UNION ALL SELECT ci, cj, id_i, id_j, round(dist, 6), 'far' FROM far")
+def support_set(spark, sf_dir):
+    return K.support_set(*_labelled(spark, sf_dir), 4, 2).select("ci", "cj", "id_i", "id_j", *r6("dist"), "kind")
+
+
+@query(f"WITH {LOCAL}, a AS (SELECT cluster, list_append(y, 1.0) AS a, z FROM emb), aa AS (SELECT cluster, 'aa' AS kind, i, j, a[i + 1] * a[j + 1] AS s FROM a, range(3) r(i), range(3) q(j)), ga AS (SELECT cluster, 'ga' AS kind, i, j, z[i + 1] * a[j + 1] AS s FROM a, range(3) r(i), range(3) q(j)) SELECT cluster, kind, CAST(i AS INTEGER) AS i, CAST(j AS INTEGER) AS j, round(sum(s), 6) + 0.0 AS s FROM (SELECT * FROM aa UNION ALL SELECT * FROM ga) GROUP BY ALL")
+def stitch_normal_eq(spark, sf_dir):
+    p = planar(spark, sf_dir)
+    return K.normal_equations(p.select("id", "y"), p.select("id", "cluster", "z")).select("cluster", "kind", "i", "j", (F.round("s", 6) + 0.0).alias("s"))
+
+
+MAPS = "zz AS (SELECT id, cluster, [y[1] * (1 + cluster) - y[2] + 0.5, y[1] + y[2] * (2 - cluster) - 0.25] AS z FROM emb)"
+
+
+def _mapped(spark, sf_dir):
+    p = planar(spark, sf_dir)
+    c = F.col("cluster").cast("double")
+    maps = p.select("cluster").distinct().select("cluster", F.array(F.array(1 + c, F.lit(-1.0)), F.array(F.lit(1.0), 2 - c)).alias("R"), F.array(F.lit(0.5), F.lit(-0.25)).alias("t"))
+    return K.apply_stitch(p.select("id", "cluster", "y"), maps)
+
+
+@query(f"WITH {LOCAL}, {MAPS} SELECT id, cluster, list_transform(z, lambda a: round(a, 6)) AS z FROM zz")
+def stitch_apply(spark, sf_dir):
+    return _mapped(spark, sf_dir).select("id", "cluster", vec_round("z").alias("z"))
+
+
+@query(f"WITH {LOCAL}, {MAPS} SELECT cluster, [round(avg(z[1]), 6), round(avg(z[2]), 6)] AS mu FROM zz GROUP BY cluster")
+def centers(spark, sf_dir):
+    return K.centers(_mapped(spark, sf_dir)).select("cluster", vec_round("mu").alias("mu"))
+
+
+@query(f"WITH {LOCAL}, {MAPS}, mu AS (SELECT cluster, [avg(z[1]), avg(z[2])] AS mu FROM zz GROUP BY cluster), d AS (SELECT id, mu.cluster, sqrt((z[1] - mu[1]) ** 2 + (z[2] - mu[2]) ** 2) AS dist FROM zz, mu), m AS (SELECT *, row_number() OVER (PARTITION BY id ORDER BY dist, cluster) AS k FROM d) SELECT id, cluster, round(dist, 6) AS dist FROM m WHERE k = 1")
+def nearest_center(spark, sf_dir):
+    m = _mapped(spark, sf_dir)
+    mu = K.centers(m)
+    everywhere = m.select("id", "z").join(F.broadcast(mu.select("cluster")))
+    return K.nearest_center(everywhere, mu).select("id", "cluster", *r6("dist"))
+
+
+@query(f"WITH {EMB}, q AS (SELECT * FROM e WHERE label >= 5), b AS (SELECT * FROM e WHERE label < 5), p AS (SELECT q.id, b.id AS via, list_distance(q.x, b.x) AS dist FROM q, b), n AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY id ORDER BY dist, via) AS rk FROM p) WHERE rk <= 4), g AS (SELECT a.id AS via, c.id AS anchor, list_distance(a.x, c.x) AS g FROM b a, b c) SELECT n.id, anchor, round(min(dist + g), 6) AS g FROM n JOIN g USING (via) GROUP BY n.id, anchor")
+def map_relational(spark, sf_dir):
+    """Path lengths of new samples through their nearest batch points, in joins; straight lines stand in for stored paths."""
+    from tangentia.operators.mapper import map_relational as relational
+
+    d = embeddings(spark, sf_dir)
+    batch, new = d.where("y_true < 5").select("id", "x"), d.where("y_true >= 5").select("id", "x")
+    a, b = batch.select(F.col("id").alias("src"), F.col("x").alias("xa")), batch.select(F.col("id").alias("dst"), F.col("x").alias("xb"))
+    geo = a.join(F.broadcast(b)).select("src", "dst", vec_dist("xa", "xb").alias("dist"))
+    return relational(new, batch, geo, 4).select("id", "anchor", *r6("g"))
+
+
+# ---- measures
+
+
+PRED = "pd AS (SELECT vec_id AS id, CASE WHEN embedding[1] > 0 THEN 1 ELSE 0 END AS cluster, label % 2 AS y_true FROM embeddings)"
+
+
+def _predicted(spark, sf_dir):
+    d = embeddings(spark, sf_dir)
+    return d.select("id", F.when(F.col("x")[0] > 0, 1).otherwise(0).alias("cluster")), d.select("id", (F.col("y_true") % 2).alias("y_true"))
+
+
+@query(f"WITH {PRED} SELECT cluster, y_true, count(*) AS n FROM pd GROUP BY ALL")
+def contingency(spark, sf_dir):
+    return M.contingency(*_predicted(spark, sf_dir))
+
+
+@query(f"WITH {PRED}, c AS (SELECT cluster, y_true, count(*)::DOUBLE AS n FROM pd GROUP BY ALL), s AS (SELECT *, n / sum(n) OVER (PARTITION BY y_true) / 2 AS w, n / sum(n) OVER () AS u FROM c) SELECT round(greatest(sum(w) FILTER (cluster = y_true), sum(w) FILTER (cluster <> y_true)), 5) AS balanced, round(greatest(sum(u) FILTER (cluster = y_true), sum(u) FILTER (cluster <> y_true)), 5) AS plain FROM s")
+def accuracy_balanced(spark, sf_dir):
+    t = M.table_of(*_predicted(spark, sf_dir))
+    return spark.createDataFrame([(round(M.matched_accuracy(t), 5), round(M.matched_accuracy(t, False), 5))], "balanced double, plain double")
+
+
+@query(f"WITH {PRED}, c AS (SELECT cluster, y_true, count(*) AS n FROM pd GROUP BY ALL), m AS (SELECT cluster, max(n) AS m, sum(n) AS n FROM c GROUP BY cluster) SELECT round(sum(m) / sum(n), 6) AS purity FROM m")
+def purity(spark, sf_dir):
+    return M.purity(*_predicted(spark, sf_dir)).select(*r6("purity"))
+
+
+TWO = "tw AS (SELECT vec_id AS id, CAST(embedding[1] AS DOUBLE) AS a0, CAST(embedding[2] AS DOUBLE) AS a1, CAST(embedding[1] AS DOUBLE) + CAST(embedding[3] AS DOUBLE) AS b0, 2 * CAST(embedding[2] AS DOUBLE) AS b1 FROM embeddings)"
+
+
+def _two(spark, sf_dir):
+    x = F.col("x")
+    d = embeddings(spark, sf_dir)
+    return d.select("id", F.slice("x", 1, 2).alias("y")), d.select("id", F.array(x[0] + x[2], 2 * x[1]).alias("y"))
+
+
+@query(f"WITH {TWO}, m AS (SELECT covar_pop(a0, b0) AS p, covar_pop(a0, b1) AS q, covar_pop(a1, b0) AS r, covar_pop(a1, b1) AS s, (var_pop(a0) + var_pop(a1)) * (var_pop(b0) + var_pop(b1)) AS v FROM tw) SELECT round(1 - (p * p + q * q + r * r + s * s + 2 * abs(p * s - q * r)) / v, 6) AS error FROM m")
+def procrustes_2d(spark, sf_dir):
+    return M.procrustes_2d(*_two(spark, sf_dir)).select(*r6("error"))
+
+
+@query(_sql["procrustes_2d"])
+def procrustes_any(spark, sf_dir):
+    """The form for any dimension, on the same planar rows."""
+    return M.procrustes_by(*_two(spark, sf_dir)).select(*r6("error"))
+
+
+PAIRED = f"{TWO}, ps AS (SELECT sqrt((p.a0 - q.a0) ** 2 + (p.a1 - q.a1) ** 2) AS da, sqrt((p.b0 - q.b0) ** 2 + (p.b1 - q.b1) ** 2) AS db FROM tw p, (VALUES (1), (7), (49)) h(k), tw q WHERE q.id = p.id + k)"
+
+
+@query(f"WITH {PAIRED} SELECT round(1 - corr(da, db) ** 2, 6) AS residual_variance FROM ps")
+def residual_variance(spark, sf_dir):
+    return M.residual_variance(*_two(spark, sf_dir)).select(*r6("residual_variance"))
+
+
+@query(f"WITH {PAIRED} SELECT round(sqrt(sum((da - db) ** 2) / sum(da * da)), 6) AS stress FROM ps")
+def distance_stress(spark, sf_dir):
+    return M.distance_stress(*_two(spark, sf_dir)).select(*r6("stress"))
+
+
+GROUPED = f"{LOCAL}, mu AS (SELECT cluster, avg(y[1]) AS m0, avg(y[2]) AS m1 FROM emb GROUP BY cluster)"
+
+
+@query(f"WITH {GROUPED} SELECT cluster, round(avg((y[1] - m0) ** 2 + (y[2] - m1) ** 2), 6) AS tightness, count(*) AS n FROM emb JOIN mu USING (cluster) GROUP BY cluster")
+def tightness(spark, sf_dir):
+    return M.tightness(planar(spark, sf_dir)).select("cluster", *r6("tightness"), "n")
+
+
+@query(f"WITH {GROUPED} SELECT cluster, count(*) AS n, round(stddev_pop(y[1]), 6) AS spread_0, round(stddev_pop(y[2]), 6) AS spread_1, round(least(stddev_pop(y[1]), stddev_pop(y[2])) / greatest(stddev_pop(y[1]), stddev_pop(y[2])), 6) AS ratio, round(avg(sqrt((y[1] - m0) ** 2 + (y[2] - m1) ** 2)), 6) AS radius FROM emb JOIN mu USING (cluster) GROUP BY cluster")
+def shape_stats(spark, sf_dir):
+    return M.shape_stats(planar(spark, sf_dir)).select("cluster", "n", *r6("spread_0", "spread_1", "ratio", "radius"))
+
+
+@query(f"WITH {GROUPED}, r AS (SELECT avg(sqrt((y[1] - m0) ** 2 + (y[2] - m1) ** 2)) AS r FROM emb JOIN mu USING (cluster) GROUP BY cluster), g AS (SELECT min(sqrt((a.m0 - b.m0) ** 2 + (a.m1 - b.m1) ** 2)) AS gap FROM mu a JOIN mu b ON a.cluster < b.cluster) SELECT round(min(gap) / avg(r), 6) AS separation FROM r, g")
+def separation(spark, sf_dir):
+    return M.separation(planar(spark, sf_dir)).select(*r6("separation"))
+
+
+@query(f"WITH {EMB}, {PAIRS}, {KNN.format(k=8)} SELECT round(avg(CASE WHEN a.label <> b.label OR sqrt((a.x[1] - b.x[1]) ** 2 + (a.x[2] - b.x[2]) ** 2) > 4 * dist THEN 1.0 ELSE 0.0 END), 6) AS shortcut_rate, count(*) AS arcs FROM knn JOIN e a ON a.id = src JOIN e b ON b.id = dst")
+def shortcut_rate(spark, sf_dir):
+    d = embeddings(spark, sf_dir)
+    return M.shortcut_rate(N.knn(d, 8), d.withColumn("u", F.slice("x", 1, 2))).select(*r6("shortcut_rate"), "arcs")
+
+
+# ---- around the engine
+
+
+@query("SELECT event_id AS id FROM events ORDER BY event_id LIMIT 2000")
+def split_batch(spark, sf_dir):
+    return split_batch_stream(W.latent_uv(spark, sf_dir), 2000)[0].select("id")
+
+
+@query("SELECT event_id AS id FROM events WHERE event_id NOT IN (SELECT event_id FROM events ORDER BY event_id LIMIT 2000)")
+def split_stream_anti(spark, sf_dir):
+    d = W.latent_uv(spark, sf_dir)
+    return d.select("id").join(split_batch_stream(d, 2000)[0].select("id"), "id", "left_anti")
+
+
+MANIFOLD = f"{LATENT}, mp AS (SELECT id, ts, user_id, CAST(id % 3 AS INTEGER) AS manifold, u * v AS residual FROM lat)"
+
+
+def _stand_in(spark, sf_dir):
+    """Mapped rows with a stand-in residual, so that what is built on top can be checked by itself."""
+    e = load_table(spark, sf_dir, "events").select(F.col("event_id").alias("id"), "user_id", "event_type")
+    m = W.latent_uv(spark, sf_dir).select("id", "ts", (F.col("id") % 3).cast("int").alias("manifold"), (F.col("u") * F.col("v")).alias("residual"))
+    return m.join(e, "id")
+
+
+@query(f"WITH {MANIFOLD} SELECT manifold, event_type, CAST(date_trunc('day', mp.ts) AS DATE) AS day, count(*) AS n, round(avg(residual), 6) AS residual FROM mp JOIN events ON event_id = id GROUP BY ROLLUP (manifold, event_type, CAST(date_trunc('day', mp.ts) AS DATE))")
+def manifold_rollup(spark, sf_dir):
+    m = _stand_in(spark, sf_dir).withColumn("day", F.to_date("ts"))
+    return m.rollup("manifold", "event_type", "day").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("residual"), 6).alias("residual"))
+
+
+@query(f"WITH {MANIFOLD} SELECT manifold, event_type, count(*) AS n, count(DISTINCT mp.user_id) AS users FROM mp JOIN events ON event_id = id GROUP BY CUBE (manifold, event_type)")
+def manifold_cube(spark, sf_dir):
+    return _stand_in(spark, sf_dir).cube("manifold", "event_type").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("user_id").alias("users"))
+
+
+@query("SELECT r_name, n_name, CAST(o_orderkey % 3 AS INTEGER) AS manifold, count(*) AS n, round(sum(o_totalprice), 2) AS total FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY GROUPING SETS ((r_name, n_name, CAST(o_orderkey % 3 AS INTEGER)), (r_name, CAST(o_orderkey % 3 AS INTEGER)), (r_name))")
+def region_mix(spark, sf_dir):
+    t = lambda n: load_table(spark, sf_dir, n)
+    j = t("orders").join(t("customer"), F.col("o_custkey") == F.col("c_custkey")).join(F.broadcast(t("nation")), F.col("c_nationkey") == F.col("n_nationkey")).join(F.broadcast(t("region")), F.col("n_regionkey") == F.col("r_regionkey"))
+    j = j.withColumn("manifold", (F.col("o_orderkey") % 3).cast("int"))
+    sets = [[F.col("r_name"), F.col("n_name"), F.col("manifold")], [F.col("r_name"), F.col("manifold")], [F.col("r_name")]]
+    return j.groupingSets(sets, "r_name", "n_name", "manifold").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("o_totalprice"), 2).alias("total")).select("r_name", "n_name", "manifold", "n", "total")
+
+
+@query(f"WITH {MANIFOLD} SELECT strftime(time_bucket(INTERVAL '1 day', ts), '%Y-%m-%d %H:%M:%S') AS start, manifold, count(*) AS n, round(avg(residual), 6) AS residual FROM mp GROUP BY ALL")
+def tumbling_quality(spark, sf_dir):
+    q = quality_windows(_stand_in(spark, sf_dir), "1 day")
+    return q.select(F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start"), "manifold", "n", *r6("residual"))
+
+
+@query(f"WITH {MANIFOLD} SELECT strftime(s, '%Y-%m-%d %H:%M:%S') AS start, manifold, count(*) AS n, round(avg(residual), 6) AS residual FROM (SELECT *, time_bucket(INTERVAL '12 hours', ts) - k * INTERVAL '12 hours' AS s FROM mp, range(2) r(k)) GROUP BY ALL")
+def sliding_quality(spark, sf_dir):
+    q = quality_windows(_stand_in(spark, sf_dir), "1 day", "12 hours")
+    return q.select(F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start"), "manifold", "n", *r6("residual"))
+
+
+@query(f"WITH {MANIFOLD}, b AS (SELECT *, CASE WHEN ts >= lag(ts) OVER (PARTITION BY manifold ORDER BY ts, id) + INTERVAL '30 minutes' THEN 1 ELSE 0 END AS cut FROM mp), s AS (SELECT *, sum(cut) OVER (PARTITION BY manifold ORDER BY ts, id) AS k FROM b) SELECT strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, manifold, count(*) AS n, round(avg(residual), 6) AS residual FROM s GROUP BY manifold, k")
+def session_quality(spark, sf_dir):
+    q = session_windows(_stand_in(spark, sf_dir), "30 minutes")
+    return q.select(F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start"), "manifold", "n", *r6("residual"))
+
+
+@query(f"WITH {MANIFOLD} SELECT id, manifold, round(avg(residual) OVER (PARTITION BY manifold ORDER BY id ROWS BETWEEN 99 PRECEDING AND CURRENT ROW), 6) AS running FROM mp")
+def running_residuals(spark, sf_dir):
+    return running_residual(_stand_in(spark, sf_dir)).select("id", "manifold", *r6("running"))
+
+
+@query(f"WITH {MANIFOLD} SELECT id, manifold, CAST(rank() OVER w AS INTEGER) AS place, CAST(dense_rank() OVER w AS INTEGER) AS dense, CAST(ntile(4) OVER (PARTITION BY manifold ORDER BY round(residual, 3), id) AS INTEGER) AS quarter, round(residual - lag(residual) OVER (PARTITION BY manifold ORDER BY id), 6) AS change FROM mp WINDOW w AS (PARTITION BY manifold ORDER BY round(residual, 3))")
+def residual_ranks(spark, sf_dir):
+    from pyspark.sql import Window
+
+    m = _stand_in(spark, sf_dir).withColumn("r", F.round("residual", 3))
+    w = Window.partitionBy("manifold").orderBy("r")
+    by_id = Window.partitionBy("manifold").orderBy("id")
+    return m.select("id", "manifold", F.rank().over(w).alias("place"), F.dense_rank().over(w).alias("dense"), F.ntile(4).over(Window.partitionBy("manifold").orderBy("r", "id")).alias("quarter"), F.round(F.col("residual") - F.lag("residual").over(by_id), 6).alias("change"))
+
+
+@query("WITH v AS (SELECT ts, event_id AS version FROM events WHERE event_type = 'purchase') SELECT e.event_id, v.version FROM events e ASOF LEFT JOIN v ON e.ts >= v.ts")
+def asof_model(spark, sf_dir):
+    """Each event with the model version that was the latest at its time; purchases stand for released versions."""
+    e = load_table(spark, sf_dir, "events")
+    versions = e.where("event_type = 'purchase'").select("ts", F.col("event_id").alias("version"))
+    return attach_latest(e.select("event_id", "ts"), versions).select("event_id", "version")
+
+
+@query("WITH a AS (SELECT event_id AS id, user_id, ts, event_type FROM events) SELECT x.user_id, x.id AS id_a, y.id AS id_b FROM a x JOIN a y ON x.user_id = y.user_id AND x.event_type = 'click' AND y.event_type = 'purchase' AND y.ts > x.ts AND y.ts <= x.ts + INTERVAL '1 day'")
+def click_to_purchase(spark, sf_dir):
+    e = load_table(spark, sf_dir, "events").select(F.col("event_id").alias("id"), "user_id", "ts", "event_type")
+    return interval_join(e.where("event_type = 'click'"), e.where("event_type = 'purchase'"), "1 day").select("user_id", "id_a", "id_b")
+
+
+@query("SELECT CAST(json_extract(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY 1")
+def props_json(spark, sf_dir):
+    e = load_table(spark, sf_dir, "events")
+    return e.groupBy(F.get_json_object("props", "$.k").cast("long").alias("k")).agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("SELECT page_id AS id, [" + ", ".join(f"len(regexp_extract_all(coalesce(html, ''), '<{t}[ >]'))::DOUBLE" for t in W.TAGS) + "] AS x FROM pages")
+def html_tag_vectors(spark, sf_dir):
+    return W.html_tag_vectors(spark, sf_dir)
+
+
+LI = ("l_quantity", "l_extendedprice", "l_discount", "l_tax")
+
+
+@query("SELECT l_orderkey * 8 + l_linenumber AS id, [" + ", ".join(f"round(({c} - avg({c}) OVER ()) / stddev_pop({c}) OVER (), 5)" for c in LI) + "] AS x FROM lineitem")
+def lineitem_vectors(spark, sf_dir):
+    return W.lineitem_vectors(spark, sf_dir).select("id", vec_round("x", 5).alias("x"))
+
+
+@query(f"WITH {EMB}, {PAIRS}, {KNN.format(k=8)}, s AS (SELECT a.label AS c, b.label AS d, count(*) AS votes, round(min(dist), 6) AS gap FROM knn JOIN e a ON a.id = src JOIN e b ON b.id = dst WHERE a.label <> b.label GROUP BY ALL) SELECT least(c, d) AS a, greatest(c, d) AS b, CAST(sum(votes) AS BIGINT) AS votes, min(gap) AS gap FROM s GROUP BY 1, 2")
+def cluster_links(spark, sf_dir):
+    from tangentia.operators.cluster import cluster_links as links
+
+    d, labels = _labelled(spark, sf_dir)
+    return links(labels, N.knn(d, 8)).select("a", "b", "votes", *r6("gap"))
+
+
+@query("SELECT vec_id AS id, CAST(dense_rank() OVER (ORDER BY label * 7 % 10) - 1 AS INTEGER) AS cluster FROM embeddings")
+def dense_cluster_ids(spark, sf_dir):
+    d = embeddings(spark, sf_dir)
+    return dense_labels(d.select("id", (F.col("y_true") * 7 % 10).alias("label")))

@@ -58,6 +58,13 @@ def scratch_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/tangentia/{name}-{uuid.uuid4().hex}"
 
 
+def table_frame(spark: SparkSession, frame, schema: str) -> DataFrame:
+    """A pandas frame, with numpy arrays in cells, as a DataFrame (by Arrow, whatever the session's settings)."""
+    import pyarrow as pa
+
+    return spark.createDataFrame(pa.Table.from_pandas(frame, preserve_index=False), schema)
+
+
 def materialise(df: DataFrame, name: str) -> DataFrame:
     """Write a table to the shared folder and read it back: lineage is cut, and a lost executor costs no recompute."""
     spark = df.sparkSession
