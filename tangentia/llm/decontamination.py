@@ -50,10 +50,23 @@ class Items:
     vectors: np.ndarray | None = None  # (items, rank), of length 1
 
     def columns(self, h: np.ndarray) -> np.ndarray:
-        if not len(self.terms):
-            return np.full(len(h), -1)
-        k = np.minimum(np.searchsorted(self.terms, h), len(self.terms) - 1)
-        return np.where(self.terms[k] == h, k, -1)
+        """The term of each hash, or -1: a look into a sparse table by leading bits, and a search where terms share a place."""
+        if not len(self.terms) or not len(h):
+            return np.full(len(h), -1, np.int64)
+        if not hasattr(self, "_table"):
+            bits = int(np.ceil(np.log2(len(self.terms) + 1))) + 6
+            self._shift = np.uint64(64 - bits)
+            place = (self.terms >> self._shift).astype(np.int64)
+            self._table = np.full(1 << bits, -1, np.int32)
+            self._table[place] = np.arange(len(place))
+            again = place[1:][place[1:] == place[:-1]]
+            self._table[again] = -2
+        at = self._table[(h >> self._shift).view(np.int64)].astype(np.int64)
+        many = np.flatnonzero(at == -2)
+        if len(many):
+            at[many] = np.minimum(np.searchsorted(self.terms, h[many]), len(self.terms) - 1)
+        at[(at >= 0) & (self.terms[at] != h)] = -1
+        return at
 
     def prepare(self) -> None:
         """What only depends on the model: masks of words for the subsequence, the items of each term, and what the screen asks for."""
