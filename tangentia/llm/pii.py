@@ -31,6 +31,7 @@ WORD = r"(?<![\p{L}\p{N}])\p{L}[\p{L}\p{N}]{2,39}+(?![\p{L}\p{N}])"
 REACH = 120
 SUPPORT = 3
 GENERALISE, REMOVE = 0.85, 0.95  # shares of an entity's information
+LEAST_SHARE = 0.5  # of the documents that hold a term, with how many contexts of the entity they must be matched
 FEW_TERMS = 100_000
 STRIDE = 64
 SPAN = "array<struct<kind:string,start:int,end:int,value:string>>"
@@ -130,7 +131,9 @@ def disclosing_terms(found: DataFrame, docs: DataFrame) -> DataFrame:
 
     entity = places.groupBy("entity", "context").count().groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity")).where(F.col("n_entity") >= SUPPORT)
     both = places.groupBy("term", "entity", "context").count().groupBy("term", "entity").agg(F.count(F.lit(1)).alias("n_both")).where(F.col("n_both") >= SUPPORT)
-    both = materialise(both.join(entity, "entity"), "term-pairs")
+    # a term stands in at least as many documents as beside any entity; where that already makes it common, it gives nothing away
+    beside = places.groupBy("term", "doc_id", "digest").count().groupBy("term").agg(F.count(F.lit(1)).alias("n_beside"))
+    both = materialise(both.join(entity, "entity").join(beside, "term").where(F.col("n_both") >= LEAST_SHARE * F.col("n_beside")).drop("n_beside"), "term-pairs")
     terms = both.select("term").distinct()
     n_terms = terms.limit(FEW_TERMS + 1).count()
     words = docs.select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(WORD), F.lit(0)))).alias("term"))
@@ -141,7 +144,7 @@ def disclosing_terms(found: DataFrame, docs: DataFrame) -> DataFrame:
     share = F.least(F.lit(1.0), F.col("n_both") / F.col("n_term"))
     information = -F.log(F.least(F.lit(1.0), F.col("n_entity") / F.lit(float(max(n, 1)))))
     told = both.join(frequency, "term").withColumn("told", F.when(information > 0, 1 + F.log(share) / information).otherwise(F.lit(0.0)))
-    told = told.where((F.col("told") >= GENERALISE) & (share >= 0.5)).select("term", "entity", (F.col("told") >= REMOVE).alias("removed"))
+    told = told.where((F.col("told") >= GENERALISE) & (share >= LEAST_SHARE)).select("term", "entity", (F.col("told") >= REMOVE).alias("removed"))
     return places.join(told, ["term", "entity"]).groupBy("doc_id", "digest", "start", "end").agg(F.max("removed").alias("removed"))
 
 
