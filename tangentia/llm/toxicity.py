@@ -13,6 +13,7 @@ from the sum of its marginals by a logistic curve, fitted on the same bounded sa
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -25,7 +26,7 @@ from tangentia.llm import textkit
 from tangentia.llm.labelled import labelled_texts, remainder, sample_labels
 from tangentia.session import ship_package
 
-SAMPLE_ROWS = 3_000  # labelled rows that a model is fitted on, at most twice that
+SAMPLE_ROWS = 2_400  # labelled rows that a model is fitted on, at most twice that
 SAMPLE_BYTES = 1 << 14  # longer texts are scored, but no model is fitted on them
 LETTERS = 1 << 15
 LENGTHS = 16
@@ -182,12 +183,18 @@ def toxic_keys(t: Tokens, toxic: np.ndarray) -> np.ndarray:
         key, text, context = keys[order], t.text[order], around[order]
         least = np.ones(len(key), bool)
         least[1:] = (key[1:] != key[:-1]) | (text[1:] != text[:-1])
-        rows = np.unique(np.stack([key[least], context[least], toxic[text[least]].astype(np.uint64)], 1), axis=0)
-        if not len(rows):
+        key, context, label = key[least], context[least], toxic[text[least]]
+        del order, text
+        if not len(key):
             continue
-        each, at = np.unique(rows[:, 0], return_inverse=True)
-        k1, k0 = (np.bincount(at, weights=rows[:, 2] == y, minlength=len(each)) for y in (1, 0))
-        share = min(max(k1.sum() / len(rows), 1e-9), 1 - 1e-9)
+        order = np.lexsort((label, context, key))
+        key, context, label = key[order], context[order], label[order]
+        new = np.ones(len(key), bool)
+        new[1:] = (key[1:] != key[:-1]) | (context[1:] != context[:-1]) | (label[1:] != label[:-1])
+        key, label = key[new], label[new]
+        each, at = np.unique(key, return_inverse=True)
+        k1, k0 = (np.bincount(at, weights=label == y, minlength=len(each)) for y in (True, False))
+        share = min(max(k1.sum() / len(key), 1e-9), 1 - 1e-9)
         with np.errstate(divide="ignore", invalid="ignore"):
             gain = k1 * np.log(np.where(k1 > 0, k1 / (k1 + k0), 1) / share) + np.where(k0 > 0, k0 * np.log(k0 / (k1 + k0) / (1 - share)), 0)
         tried = max((k1 + k0 >= 3).sum(), 1)
@@ -201,9 +208,15 @@ def fit_field(texts: list[str], y: np.ndarray, weight: np.ndarray, epochs: int =
     buf, offs = textkit.text_buffer(pa.array(texts, pa.string()))
     t = tokenise(buf, offs)
     telling = toxic_keys(t, y > 0)
-    bad = np.isin(t.keys, telling).any(0) & (y[t.text] > 0) if len(telling) else np.zeros(len(t.hash), bool)
-    words, count = np.unique(np.concatenate(t.keys), return_counts=True)
-    words = words[(count >= SEEN) & (words > 0)]
+    bad = np.zeros(len(t.hash), bool)
+    words = []
+    for keys in t.keys:  # one kind at a time, which bounds the driver's memory
+        if len(telling):
+            bad |= telling[np.minimum(np.searchsorted(telling, keys), len(telling) - 1)] == keys
+        each, count = np.unique(keys, return_counts=True)
+        words.append(each[(count >= SEEN) & (each > 0)])
+    bad &= y[t.text] > 0
+    words = np.unique(np.concatenate(words))
     w = len(words) + 1
     field = Field(words, np.zeros(w), np.zeros(w), np.zeros(w), np.zeros(LETTERS), np.zeros(LETTERS), np.zeros(LENGTHS), -2.0, np.zeros((2, 2)), np.array([-1.0, 0.0, 0.0]))
     if len(texts):
@@ -275,11 +288,18 @@ def fit_field(texts: list[str], y: np.ndarray, weight: np.ndarray, epochs: int =
     return field
 
 
+def _fit_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    data = sorted(((t or "", y, w) for b in batches for t, y, w in zip(*(b.column(c).to_pylist() for c in ("text", "y", "weight")), strict=True)), key=lambda r: r[:2])
+    field = fit_field([t for t, _, _ in data], np.array([y for _, y, _ in data], float), np.array([w for *_, w in data], float))
+    yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(field)], pa.binary())], ["field"])
+
+
 def fit_toxicity(docs: DataFrame, labels: DataFrame, label: str = "toxic", at_most: int = SAMPLE_ROWS) -> Field:
-    """A field from a bounded sample of labelled rows, which alone reaches the driver: at most 2 * ``at_most`` texts of SAMPLE_BYTES."""
-    rows = labelled_texts(docs, sample_labels(labels, label, at_most), SAMPLE_BYTES).toArrow()
-    data = sorted(zip(rows["text"].to_pylist(), rows["y"].to_pylist(), rows["weight"].to_pylist(), strict=True), key=lambda r: (r[0] or "", r[1]))
-    return fit_field([t or "" for t, _, _ in data], np.array([y for _, y, _ in data], float), np.array([w for *_, w in data], float))
+    """A field from a bounded sample of labelled rows: one task gets its texts, at most 2 * ``at_most`` of SAMPLE_BYTES, and the driver only the weights."""
+    ship_package(docs.sparkSession)
+    texts = labelled_texts(docs, sample_labels(labels, label, at_most), SAMPLE_BYTES)
+    rows = texts.repartition(1).mapInArrow(_fit_batches, "field binary").collect()
+    return pickle.loads(rows[0]["field"]) if rows else fit_field([], np.zeros(0), np.zeros(0))
 
 
 def score_batch(field: Field, column: pa.Array, spans: bool, least: float = 0.5) -> tuple[np.ndarray, list]:
