@@ -32,7 +32,7 @@ def shortest_paths(n: int, src: np.ndarray, dst: np.ndarray, dist: np.ndarray, s
     Points are settled in the order of their length, from a plain array of open lengths: n steps for each source, each over
     the arcs of one point, so dense graphs cost little more than sparse ones.
     """
-    order = np.argsort(src, kind="stable")
+    order = np.lexsort((-dist, src))  # of parallel arcs, the shortest is assigned last
     dst, dist = dst[order], dist[order]
     first = np.searchsorted(src[order], np.arange(n + 1)).tolist()
     out = np.full((len(sources), n), np.inf)

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from tangentia.functions.numeric import classical_scaling, signed, top_eigen
 from tangentia.operators.geodesic import geodesics
 from tangentia.operators.neighbors import bridge_components, collect_points, knn, symmetrize
-from tangentia.session import ship_package, table_frame
+from tangentia.session import materialise, ship_package, table_frame
 
 LOCAL_ROWS = 4_000  # a dense problem of so many rows goes to one task
 
@@ -25,14 +25,30 @@ def double_center(geo: DataFrame) -> DataFrame:
 
 
 def gram_rows(geo: DataFrame) -> DataFrame:
-    """(src, g) of dense rows to (src, b): the same centring, with the column means (one vector) broadcast."""
-    mean = geo.select(F.posexplode("g").alias("k", "v")).groupBy("k").agg(F.avg(F.col("v") * F.col("v")).alias("m"))
-    column = mean.agg(F.transform(F.sort_array(F.collect_list(F.struct("k", "m"))), lambda x: x["m"]).alias("c"))
-    square = F.transform("g", lambda v: v * v)
-    j = geo.select("src", square.alias("s")).join(F.broadcast(column))
-    avg = lambda a: F.aggregate(a, F.lit(0.0), lambda x, y: x + y) / F.size(a)
-    j = j.withColumn("mr", avg(F.col("s"))).withColumn("mg", avg(F.col("c")))
-    return j.select("src", F.zip_with("s", "c", lambda s, c: -0.5 * (s - F.col("mr") - c + F.col("mg"))).alias("b"))
+    """(src, g) of dense rows to (src, b): the same centring. Each task gives one vector of column sums; their mean is broadcast."""
+    spark = geo.sparkSession
+    ship_package(spark)
+    geo = materialise(geo, "path-rows")
+
+    def sums(frames):
+        total, n = 0.0, 0
+        for f in frames:
+            for g in f["g"]:
+                total, n = total + np.square(g), n + 1
+        if n:
+            yield pd.DataFrame({"s": [total], "n": [n]})
+
+    parts = geo.mapInPandas(sums, "s array<double>, n long").collect()
+    column = sum(np.array(r["s"]) for r in parts) / max(sum(r["n"] for r in parts), 1)
+    shared = spark.sparkContext.broadcast(column)
+
+    def centre(frames):
+        c = shared.value
+        for f in frames:
+            rows = [-0.5 * (np.square(g) - np.square(g).mean() - c + c.mean()) for g in f["g"]]
+            yield pd.DataFrame({"src": f["src"], "b": rows})
+
+    return geo.mapInPandas(centre, "src long, b array<double>")
 
 
 def eig_top(gram: DataFrame, d: int, solver: str = "local", rounds: int = 200, tolerance: float = 1e-10, seed: int = 0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
