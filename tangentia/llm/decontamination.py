@@ -154,6 +154,7 @@ def block_frequencies(docs: DataFrame, items: Items) -> tuple[np.ndarray, int]:
             total += np.bincount(np.unique(block[hit] * m + c[hit]) % m, minlength=m)
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(np.r_[-1, at]), pa.array(np.r_[blocks, total[at]])], ["term", "n"])
+        textkit.tidy()
 
     out = np.zeros(len(items.terms), np.int64)
     n_blocks = 0
@@ -189,6 +190,8 @@ def sketch_gram(docs: DataFrame, items: Items) -> np.ndarray:
             total[terms] += sums * own.idf[terms][:, None]
         chunks = range(0, m, CHUNK)
         yield pa.RecordBatch.from_arrays([pa.array([k // CHUNK for k in chunks], pa.int32()), pa.array([total[k : k + CHUNK].astype(np.float32).tobytes() for k in chunks], pa.binary())], ["chunk", "z"])
+        del weighted, total
+        textkit.tidy()
 
     def add(batches):
         total: dict[int, np.ndarray] = {}
@@ -357,5 +360,6 @@ def drop_leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
                     for d, *_ in find_leaks(model.value, j - i, text, h):
                         clean[i + d] = False
             yield batch.filter(pa.array(clean))
+        textkit.tidy()
 
     return docs.mapInArrow(keep, docs.schema)

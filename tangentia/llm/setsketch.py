@@ -83,6 +83,7 @@ def _sketch_batches(width: int):
                     for k, key, regs in zip(full, set_key(own), sketch_sets(own), strict=True):
                         n[i + k], keys[i + k], sketches[i + k] = len(sets[k]), key, regs.tobytes()
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n), pa.array(keys, pa.binary()), pa.array(sketches, pa.binary())], ["doc_id", "n", "key", "sketch"])
+        textkit.tidy()
 
     return sketch
 
@@ -136,6 +137,7 @@ def _verify_batches(width: int, percent: int):
                     common = len(np.intersect1d(x, y, assume_unique=True))
                     keep[i + k] = common > 0 and 100 * common >= percent * (len(x) + len(y) - common)
             yield pa.RecordBatch.from_arrays([batch.column(k).filter(pa.array(keep)) for k in (0, 1)], ["a", "b"])
+        textkit.tidy()
 
     return verify
 
@@ -149,6 +151,7 @@ def _set_batches(width: int):
                 flat = np.concatenate(own).view(np.int64)
                 offsets = np.concatenate([[0], np.cumsum([len(s) for s in own])]).astype(np.int32)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat))], ["id", "shingles"])
+        textkit.tidy()
 
     return sets
 
@@ -235,8 +238,8 @@ def near_duplicates(docs: DataFrame, width: int = 5, threshold: float = 0.8) ->
     most = 1 + F.least(F.col("n") - F.col("place"), F.col("pn") - F.col("pplace"))
     enough = most * (100 + percent) >= F.lit(percent) * (F.col("n") + F.col("pn"))
     new = first.join(first.select("shingle", F.col("place").alias("pplace"), *other), "shingle").where((F.col("id") < F.col("pid")) & fits & enough).select(*ordered).distinct()
-    found = linker.links(new.join(tried, ["a", "b"], "left_anti"))
-    if not found.isEmpty():
+    new = materialise(new.join(tried, ["a", "b"], "left_anti"), "pairs")
+    if not new.isEmpty() and not (found := linker.links(new)).isEmpty():
         groups = connected_components(links.unionByName(found), "a", "b")
 
     whole = classes.select("key", "n", F.col("id").alias("first")).join(groups.select(F.col("id").alias("first"), "component"), "first", "left")

@@ -292,6 +292,8 @@ def _fit_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     data = sorted(((t or "", y, w) for b in batches for t, y, w in zip(*(b.column(c).to_pylist() for c in ("text", "y", "weight")), strict=True)), key=lambda r: r[:2])
     field = fit_field([t for t, _, _ in data], np.array([y for _, y, _ in data], float), np.array([w for *_, w in data], float))
     yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(field)], pa.binary())], ["field"])
+    del data, field
+    textkit.tidy()
 
 
 def fit_toxicity(docs: DataFrame, labels: DataFrame, label: str = "toxic", at_most: int = SAMPLE_ROWS) -> Field:
@@ -360,5 +362,6 @@ def drop_toxic(docs: DataFrame, labels: DataFrame) -> DataFrame:
         for batch in batches:
             s, _ = score_batch(shared.value, batch.column(kept[0]), False)
             yield batch.filter(pa.array(s < 0.5))
+        textkit.tidy()
 
     return docs.mapInArrow(drop, docs.schema)
