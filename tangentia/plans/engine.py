@@ -104,10 +104,11 @@ def local_geodesics(ids: np.ndarray, x: np.ndarray, k: int, sources: np.ndarray
 def fit(batch: DataFrame, params: EmbedParams = EmbedParams(), labels: DataFrame | None = None) -> Model:
     """Cluster, embed each cluster, stitch. ``labels`` (id, cluster) skips the clustering (forced or true clusters).
 
-    The batch is bounded and is the only thing that is ever held whole; path lengths are worked out in tasks.
+    The batch is bounded and is the only thing that is ever held whole; path lengths are worked out in tasks. Of rows that
+    repeat an id, one is learnt from.
     """
     spark = batch.sparkSession
-    points = materialise(batch.select("id", "x"), "batch")
+    points = materialise(batch.select("id", "x").dropDuplicates(["id"]), "batch")
     edges = materialise(knn(points, params.n_neighbors), "knn")
     if labels is None:
         labels = C.tangent_cluster(points, params.eps, params.n_neighbors, params.n_tangent, params.mode, params.graph, params.seed, svd_neighbors=params.svd_neighbors)

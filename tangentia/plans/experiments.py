@@ -351,7 +351,7 @@ def raw_digit_neighbours(spark, sf_dir):
 def document_clusters(spark, sf_dir):
     """Documents by character pairs: clusters against languages."""
     langs = F.array(*[F.lit(x) for x in ("de", "en", "es", "fr")])
-    docs = W.load_table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), F.array_position(langs, "lang").cast("int").alias("y_true"))
+    docs = W.load_table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), F.array_position(langs, F.col("lang")).cast("int").alias("y_true"))
     d = W.ngram_vectors(spark, sf_dir).join(docs, "id")
     batch = materialise(split_batch_stream(d, BATCH)[0], "documents")
     rows = [(name, *map(float, M.clustering_report(labels, batch).values())) for name, labels in (("components", C.knn_components(batch, 5)), ("kmeans", C.kmeans_cluster(batch, 4)))]
