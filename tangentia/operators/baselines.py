@@ -80,14 +80,16 @@ def baseline_local(points: DataFrame, k: int, d: int, feature: str) -> DataFrame
     return spectral_embed(points, k, d, feature)
 
 
-def accuracy_table(points: DataFrame, modes: tuple[str, ...] = ("l1", "l2", "det", "vol", "projection"), eps: tuple[float, ...] = (0.9,), n_tangents: tuple[int, ...] = (2, 3), n_neighbors: int = 8, svd_neighbors: int = 20, merge: int | None = 50) -> DataFrame:
-    """(mode, n_tangent, eps, balanced, plain, purity, clusters) of every setting; neighbours and planes are made once.
+def accuracy_table(points: DataFrame, modes: tuple[str, ...] = ("l1", "l2", "det", "vol", "projection"), eps: tuple[float, ...] = (0.9,), n_tangents: tuple[int, ...] = (2, 3), n_neighbors: int = 8, svd_neighbors: int = 20, merge: int | None = 50, cap: int = 2) -> DataFrame:
+    """(mode, n_tangent, eps, balanced, plain, purity, clusters, to_cap_votes, to_cap_gap) of every setting; neighbours and planes are made once.
+
+    to_cap: balanced accuracy when clusters are merged on, by either affinity, until ``cap`` of them are left.
 
     Reported as it comes: the setting that is best by the true labels is not chosen here.
     """
     from tangentia.operators.cluster import dense_labels, edge_filter, gap_threshold, merge_clusters, scored_edges
     from tangentia.operators.graph import batch_labels, seed_order
-    from tangentia.operators.metrics import clustering_report
+    from tangentia.operators.metrics import clustering_report, matched_accuracy, table_of
     from tangentia.operators.neighbors import knn
     from tangentia.operators.tangent import tangent_planes
 
@@ -103,6 +105,7 @@ def accuracy_table(points: DataFrame, modes: tuple[str, ...] = ("l1", "l2", "det
                 if merge:
                     labels = merge_clusters(labels, edges, None, merge)
                 r = clustering_report(labels, points)
-                rows.append((mode, n_tangent, e, r["balanced"], r["plain"], r["purity"], int(r["clusters"])))
-    return spark.createDataFrame([tuple(x.item() if hasattr(x, "item") else x for x in r) for r in rows], "mode string, n_tangent int, eps double, balanced double, plain double, purity double, clusters int")
+                capped = [matched_accuracy(table_of(merge_clusters(labels, edges, None, 1, cap, a), points)) for a in ("votes", "gap")]
+                rows.append((mode, n_tangent, e, r["balanced"], r["plain"], r["purity"], int(r["clusters"]), *capped))
+    return spark.createDataFrame([tuple(x.item() if hasattr(x, "item") else x for x in r) for r in rows], "mode string, n_tangent int, eps double, balanced double, plain double, purity double, clusters int, to_cap_votes double, to_cap_gap double")
 

@@ -123,7 +123,7 @@ def accuracy_roll_plane(spark, sf_dir):
 
 @query
 def accuracy_roll_2planes(spark, sf_dir):
-    return B.accuracy_table(W.scene(spark, sf_dir, "roll_2planes", 9_000), ("l1", "det", "projection"), n_tangents=(2,))
+    return B.accuracy_table(W.scene(spark, sf_dir, "roll_2planes", 9_000), ("l1", "det", "projection"), n_tangents=(2,), cap=3)
 
 
 @query
