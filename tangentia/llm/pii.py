@@ -2,7 +2,7 @@
 
 Base spans are matches of four patterns. Around each one, the words within ``REACH`` code points are terms that may
 disclose it. How much a term tells of an entity (one value of one kind) is estimated from the whole corpus: with
-documents that hold the term and different contexts in which both stand together, the pointwise mutual information of the two
+distinct texts that hold the term, the entity, and both side by side, the pointwise mutual information of the two
 is set against the entity's own information. A term that gives away nearly all of it is removed wherever it
 stands beside that entity, one that gives away most of it is generalised. Copies of one context are one piece of evidence, and
 fewer than ``SUPPORT`` contexts are none.
@@ -31,7 +31,7 @@ WORD = r"(?<![\p{L}\p{N}])\p{L}[\p{L}\p{N}]{2,39}+(?![\p{L}\p{N}])"
 REACH = 120
 SUPPORT = 3
 GENERALISE, REMOVE = 0.85, 0.95  # shares of an entity's information
-LEAST_SHARE = 0.5  # of the documents that hold a term, with how many contexts of the entity they must be matched
+LEAST_SHARE = 0.5  # of the distinct texts that hold a term, how many must hold it beside the entity
 FEW_TERMS = 100_000
 STRIDE = 64
 SPAN = "array<struct<kind:string,start:int,end:int,value:string>>"
@@ -102,6 +102,10 @@ def listed(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
 
 
+def text_digest() -> Column:
+    return F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))
+
+
 def find_base(docs: DataFrame) -> DataFrame:
     """(doc_id, digest, base, near): a row's spans, and the text around each of them (for rows that have any)."""
     rows = docs.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).withColumn("base", base_spans(F.col("text")))
@@ -129,18 +133,21 @@ def disclosing_terms(found: DataFrame, docs: DataFrame) -> DataFrame:
     places = near.select("doc_id", "digest", "entity", "context", F.explode(F.concat(left, right)).alias("t")).select("doc_id", "digest", "entity", "context", "t.*")
     places = materialise(places, "term-places")
 
-    entity = places.groupBy("entity", "context").count().groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity")).where(F.col("n_entity") >= SUPPORT)
-    both = places.groupBy("term", "entity", "context").count().groupBy("term", "entity").agg(F.count(F.lit(1)).alias("n_both")).where(F.col("n_both") >= SUPPORT)
-    # a term stands in at least as many documents as beside any entity; where that already makes it common, it gives nothing away
-    beside = places.groupBy("term", "doc_id", "digest").count().groupBy("term").agg(F.count(F.lit(1)).alias("n_beside"))
-    both = materialise(both.join(entity, "entity").join(beside, "term").where(F.col("n_both") >= LEAST_SHARE * F.col("n_beside")).drop("n_beside"), "term-pairs")
+    # evidence is counted in contexts; all shares in distinct texts, so that copies of a row change neither
+    evidence = places.groupBy("term", "entity", "context").count().groupBy("term", "entity").agg(F.count(F.lit(1)).alias("n_evidence")).where(F.col("n_evidence") >= SUPPORT)
+    entity = near.groupBy("entity", "digest").count().groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity"))
+    both = places.groupBy("term", "entity", "digest").count().groupBy("term", "entity").agg(F.count(F.lit(1)).alias("n_both"))
+    # a term stands in at least as many texts as beside any entity; where that already makes it common, it gives nothing away
+    beside = places.groupBy("term", "digest").count().groupBy("term").agg(F.count(F.lit(1)).alias("n_beside"))
+    both = both.join(evidence, ["term", "entity"]).join(entity, "entity").join(beside, "term").where(F.col("n_both") >= LEAST_SHARE * F.col("n_beside"))
+    both = materialise(both.select("term", "entity", "n_both", "n_entity"), "term-pairs")
     terms = both.select("term").distinct()
     n_terms = terms.limit(FEW_TERMS + 1).count()
-    words = docs.select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(WORD), F.lit(0)))).alias("term"))
+    words = docs.select(text_digest().alias("digest"), F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(WORD), F.lit(0)))).alias("term"))
     if n_terms <= FEW_TERMS:
         words = words.join(F.broadcast(terms), "term", "left_semi")
-    frequency = words.groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
-    n = docs.count() if n_terms else 1
+    frequency = words.groupBy("term", "digest").count().groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
+    n = found.select("digest").distinct().count() if n_terms else 1
     share = F.least(F.lit(1.0), F.col("n_both") / F.col("n_term"))
     information = -F.log(F.least(F.lit(1.0), F.col("n_entity") / F.lit(float(max(n, 1)))))
     told = both.join(frequency, "term").withColumn("told", F.when(information > 0, 1 + F.log(share) / information).otherwise(F.lit(0.0)))
@@ -177,8 +184,7 @@ def sanitise(docs: DataFrame) -> DataFrame:
     """
     found = find_personal(docs).where((F.size("base") > 0) | (F.size("terms") > 0)).dropDuplicates(["doc_id", "digest"])
     found = found.select(F.col("doc_id").alias("__id"), F.col("digest").alias("__digest"), F.sort_array(F.transform(F.concat("base", "terms"), lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), F.when(s["value"] == "removed", F.lit("")).otherwise(F.concat(F.lit("["), F.upper(s["kind"]), F.lit("]"))).alias("by")))).alias("__spans"))
-    own = F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))
-    joined = docs.join(found, docs["doc_id"].eqNullSafe(F.col("__id")) & (own == F.col("__digest")), "left")
+    joined = docs.join(found, docs["doc_id"].eqNullSafe(F.col("__id")) & (text_digest() == F.col("__digest")), "left")
     start = F.struct(F.lit(0).alias("at"), F.array().cast("array<string>").alias("pieces"))
 
     def step(acc: Column, s: Column) -> Column:

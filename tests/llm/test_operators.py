@@ -136,6 +136,19 @@ def test_disclosing_term_is_found_and_sanitised(spark):
     assert all(out[100 + i] == docs[6 + i][1] for i in range(60))
 
 
+def test_copies_leave_term_spans_unchanged(spark):
+    from tangentia.llm.pii import report
+
+    texts = [f"filler{i} words{i} Quimby wrote to jane.roe@example.com about item{i} today" for i in range(5)]
+    texts += [f"plain text number{i} about nothing" for i in range(60)]
+    rows = list(enumerate(texts))
+    copies = [(1000 * c + i, t) for c in (1, 2) for i, t in rows[:5]]
+    found = lambda r: {x["doc_id"]: x["spans"] for x in report(spark.createDataFrame(r, "doc_id long, text string")).collect()}
+    once, thrice = found(rows), found(rows + copies)
+    assert all("term:" in once[i] for i in range(5))
+    assert all(s == once[i % 1000] for i, s in thrice.items())
+
+
 def test_warc_framing_and_damage(spark, tmp_path):
     from tangentia.llm import warc
 
