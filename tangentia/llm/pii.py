@@ -1,11 +1,11 @@
 """Personal data by patterns, and what else in a text would give it away (all DataFrame functions).
 
-Base spans are matches of four patterns. Around each one, the words within ``REACH`` code points are terms that may
-disclose it. How much a term tells of an entity (one value of one kind) is estimated from the whole corpus: with
-distinct texts that hold the term, the entity, and both side by side, the pointwise mutual information of the two
-is set against the entity's own information. A term that gives away nearly all of it is removed wherever it
-stands beside that entity, one that gives away most of it is generalised. Copies of one context are one piece of evidence, and
-fewer than ``SUPPORT`` contexts are none.
+Base spans are matches of four patterns. Any other word of a text that holds one is a term that may disclose it. How much
+a term tells of an entity (one value of one kind) is estimated from the whole corpus: with distinct texts that hold the
+term, the entity, and both, the pointwise mutual information of the two is set against the entity's own information. A
+term that gives away nearly all of it is removed wherever it stands in the corpus, one that gives away most of it is
+generalised. Copies of one text are one piece of evidence, and a pair needs ``SUPPORT`` of them: distinct texts
+that hold both, or distinct contexts (``REACH`` code points to either side of the entity) that hold the term.
 
 The patterns are written so that Java's engine neither tries a run of characters again from each of its places nor recurses
 on it: runs are possessive and begin where they can begin. They match what the plain forms match.
@@ -31,7 +31,7 @@ WORD = r"(?<![\p{L}\p{N}])\p{L}[\p{L}\p{N}]{2,39}+(?![\p{L}\p{N}])"
 REACH = 120
 SUPPORT = 3
 GENERALISE, REMOVE = 0.85, 0.95  # shares of an entity's information
-LEAST_SHARE = 0.5  # of the distinct texts that hold a term, how many must hold it beside the entity
+LEAST_SHARE = 0.5  # of the distinct texts that hold a term, how many must hold the entity too
 FEW_TERMS = 100_000
 STRIDE = 64
 SPAN = "array<struct<kind:string,start:int,end:int,value:string>>"
@@ -106,53 +106,61 @@ def text_digest() -> Column:
     return F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))
 
 
+def overlaps(base: Column, t: Column) -> Column:
+    return F.exists(base, lambda b: (b["start"] < t["end"]) & (b["end"] > t["start"]))
+
+
+def terms_of(text: Column) -> Column:
+    return F.transform(F.regexp_extract_all(text, F.lit(WORD), F.lit(0)), F.lower)
+
+
 def find_base(docs: DataFrame) -> DataFrame:
-    """(doc_id, digest, base, near): a row's spans, and the text around each of them (for rows that have any)."""
+    """(doc_id, digest, base, near, terms): a row's spans, entity and context of each, and the distinct words outside them."""
     rows = docs.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).withColumn("base", base_spans(F.col("text")))
-    padded = F.concat(F.lit(" "), F.col("text"), F.lit(" "))  # so that a word at either end has a neighbour; places move by one
     around = F.transform(
         "base",
         lambda s: F.struct(
             F.concat_ws(":", s["kind"], F.lower(s["value"])).alias("entity"),
-            F.greatest(s["start"] - REACH, F.lit(0)).alias("left_from"),
-            F.substring(padded, F.greatest(s["start"] - REACH, F.lit(0)) + 1, F.least(s["start"], F.lit(REACH)) + 1).alias("left"),
-            s["end"].alias("right_from"),
-            F.substring(padded, s["end"] + 2, F.lit(REACH + 1)).alias("right"),
+            F.substring("text", F.greatest(s["start"] - REACH, F.lit(0)) + 1, F.least(s["start"], F.lit(REACH))).alias("left"),
+            F.substring("text", s["end"] + 1, F.lit(REACH)).alias("right"),
         ),
     )
-    return rows.select("doc_id", F.xxhash64("text").alias("digest"), "base", around.alias("near"))
+    outside = F.transform(F.filter(found_spans("term", F.col("text"), WORD), lambda t: ~overlaps(F.col("base"), t)), lambda t: F.lower(t["value"]))
+    terms = F.array_distinct(F.when(F.size("base") > 0, outside).otherwise(terms_of(F.col("text"))))
+    return rows.select("doc_id", text_digest().alias("digest"), "base", around.alias("near"), terms.alias("terms"))
 
 
-def disclosing_terms(found: DataFrame, docs: DataFrame) -> DataFrame:
-    """(doc_id, digest, start, end, removed): places of the terms that give an entity beside them away."""
-    near = found.where(F.size("base") > 0).select("doc_id", "digest", F.explode("near").alias("n")).select("doc_id", "digest", "n.*")
+def disclosing_terms(found: DataFrame) -> DataFrame:
+    """(term, removed): the terms that give an entity away."""
+    own = found.where(F.size("base") > 0)
+    near = own.select("digest", F.explode("near").alias("n")).select("digest", "n.*")
     near = near.withColumn("context", F.xxhash64(F.regexp_replace("left", r"\s+", " "), F.regexp_replace("right", r"\s+", " ")))
-    # the left text begins one place before its first word can, because of the pad
-    left = F.transform(found_spans("term", F.col("left"), WORD), lambda s: F.struct(F.lower(s["value"]).alias("term"), (F.col("left_from") - 1 + s["start"]).alias("start"), (F.col("left_from") - 1 + s["end"]).alias("end")))
-    right = F.transform(found_spans("term", F.col("right"), WORD), lambda s: F.struct(F.lower(s["value"]).alias("term"), (F.col("right_from") + s["start"]).alias("start"), (F.col("right_from") + s["end"]).alias("end")))
-    places = near.select("doc_id", "digest", "entity", "context", F.explode(F.concat(left, right)).alias("t")).select("doc_id", "digest", "entity", "context", "t.*")
-    places = materialise(places, "term-places")
-
-    # evidence is counted in contexts; all shares in distinct texts, so that copies of a row change neither
-    evidence = places.groupBy("term", "entity", "context").count().groupBy("term", "entity").agg(F.count(F.lit(1)).alias("n_evidence")).where(F.col("n_evidence") >= SUPPORT)
-    entity = near.groupBy("entity", "digest").count().groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity"))
-    both = places.groupBy("term", "entity", "digest").count().groupBy("term", "entity").agg(F.count(F.lit(1)).alias("n_both"))
-    # a term stands in at least as many texts as beside any entity; where that already makes it common, it gives nothing away
-    beside = places.groupBy("term", "digest").count().groupBy("term").agg(F.count(F.lit(1)).alias("n_beside"))
-    both = both.join(evidence, ["term", "entity"]).join(entity, "entity").join(beside, "term").where(F.col("n_both") >= LEAST_SHARE * F.col("n_beside"))
+    holders = near.select("entity", "digest").distinct()
+    entity = holders.groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity"))
+    contexts = near.groupBy("entity", "context").agg(F.first("left").alias("left"), F.first("right").alias("right"))
+    known = entity.join(contexts.groupBy("entity").agg(F.count(F.lit(1)).alias("n_contexts")), "entity").where((F.col("n_entity") >= SUPPORT) | (F.col("n_contexts") >= SUPPORT))
+    known = materialise(known, "entities")
+
+    beside = contexts.join(known.where(F.col("n_contexts") >= SUPPORT), "entity", "left_semi").select("entity", F.explode(F.array_distinct(terms_of(F.concat_ws("\n", "left", "right")))).alias("term"))
+    beside = beside.groupBy("term", "entity").agg(F.count(F.lit(1)).alias("n_beside")).where(F.col("n_beside") >= SUPPORT)
+    held = own.select("digest", F.explode("terms").alias("term")).distinct()
+    both = holders.join(known, "entity", "left_semi").join(held, "digest").groupBy("term", "entity").agg(F.count(F.lit(1)).alias("n_both"))
+    both = both.join(beside, ["term", "entity"], "left").where((F.col("n_both") >= SUPPORT) | F.col("n_beside").isNotNull())
+    # a term stands in at least as many texts as together with any entity; where that already makes it common, it gives nothing away
+    least = held.groupBy("term").agg(F.count(F.lit(1)).alias("n_held"))
+    both = both.join(known, "entity").join(least, "term").where(F.col("n_both") >= LEAST_SHARE * F.col("n_held"))
     both = materialise(both.select("term", "entity", "n_both", "n_entity"), "term-pairs")
     terms = both.select("term").distinct()
     n_terms = terms.limit(FEW_TERMS + 1).count()
-    words = docs.select(text_digest().alias("digest"), F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(WORD), F.lit(0)))).alias("term"))
-    if n_terms <= FEW_TERMS:
-        words = words.join(F.broadcast(terms), "term", "left_semi")
+    words = found.select("digest", F.explode("terms").alias("term"))
+    words = words.join(F.broadcast(terms) if n_terms <= FEW_TERMS else terms, "term", "left_semi")
     frequency = words.groupBy("term", "digest").count().groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
     n = found.select("digest").distinct().count() if n_terms else 1
     share = F.least(F.lit(1.0), F.col("n_both") / F.col("n_term"))
     information = -F.log(F.least(F.lit(1.0), F.col("n_entity") / F.lit(float(max(n, 1)))))
     told = both.join(frequency, "term").withColumn("told", F.when(information > 0, 1 + F.log(share) / information).otherwise(F.lit(0.0)))
-    told = told.where((F.col("told") >= GENERALISE) & (share >= LEAST_SHARE)).select("term", "entity", (F.col("told") >= REMOVE).alias("removed"))
-    return places.join(told, ["term", "entity"]).groupBy("doc_id", "digest", "start", "end").agg(F.max("removed").alias("removed"))
+    told = told.where((F.col("told") >= GENERALISE) & (share >= LEAST_SHARE))
+    return told.groupBy("term").agg(F.max(F.col("told") >= REMOVE).alias("removed"))
 
 
 def find_personal(docs: DataFrame) -> DataFrame:
@@ -162,11 +170,19 @@ def find_personal(docs: DataFrame) -> DataFrame:
     other columns are ignored; an empty table gives an empty result.
     """
     found = materialise(find_base(docs), "base-spans")
-    terms = disclosing_terms(found, docs)
-    span = F.struct(F.lit("term").alias("kind"), "start", "end", F.when(F.col("removed"), "removed").otherwise("generalised").alias("value"))
-    by_row = terms.groupBy("doc_id", "digest").agg(F.sort_array(F.collect_set(span)).cast(SPAN).alias("terms")).withColumnsRenamed({"doc_id": "id2", "digest": "digest2"})
-    joined = found.select("doc_id", "digest", "base").join(by_row, F.col("doc_id").eqNullSafe(F.col("id2")) & (F.col("digest") == F.col("digest2")), "left")
-    free = F.filter("terms", lambda t: ~F.exists("base", lambda b: (b["start"] < t["end"]) & (b["end"] > t["start"])))
+    told = materialise(disclosing_terms(found), "told-terms")
+    if told.limit(FEW_TERMS + 1).count() <= FEW_TERMS:
+        told = F.broadcast(told)
+    hits = found.select("doc_id", "digest", F.explode("terms").alias("term")).join(told, "term")
+    hits = hits.groupBy("doc_id", "digest").agg(F.map_from_entries(F.collect_set(F.struct("term", "removed"))).alias("told")).withColumnsRenamed({"doc_id": "id2", "digest": "digest2"})
+    same = F.col("doc_id").eqNullSafe(F.col("id2")) & (F.col("digest") == F.col("digest2"))
+    rows = docs.select("doc_id", F.col("text").cast("string").alias("text"), text_digest().alias("digest")).join(hits, same)
+    places = F.filter(found_spans("term", F.col("text"), WORD), lambda t: F.map_contains_key("told", F.lower(t["value"])))
+    value = lambda t: F.when(F.element_at("told", F.lower(t["value"])), "removed").otherwise("generalised")
+    terms = F.transform(places, lambda t: F.struct(t["kind"].alias("kind"), t["start"].alias("start"), t["end"].alias("end"), value(t).alias("value")))
+    by_row = rows.select("id2", "digest2", terms.cast(SPAN).alias("terms")).dropDuplicates(["id2", "digest2"])
+    joined = found.select("doc_id", "digest", "base").join(by_row, same, "left")
+    free = F.filter("terms", lambda t: ~overlaps(F.col("base"), t))
     return joined.select("doc_id", "digest", "base", F.coalesce(free, F.array().cast(SPAN)).alias("terms"))
 
 

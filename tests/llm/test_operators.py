@@ -149,6 +149,24 @@ def test_copies_leave_term_spans_unchanged(spark):
     assert all(s == once[i % 1000] for i, s in thrice.items())
 
 
+def test_disclosing_term_is_masked_far_from_the_address(spark):
+    """Evidence and removal over whole texts, and in a text without the address; not common words or words of the address."""
+    from tangentia.llm.pii import sanitise
+
+    gap = lambda i: " ".join(f"pad{i}x{k} common" for k in range(60))
+    rows = [(i, f"common words and jane.roe@example.com here {gap(i)} Quimby again {gap(i + 50)} QUIMBY end") for i in range(4)]
+    rows += [(10, f"nothing but quimby stands in this common one, and jane {gap(99)}")]
+    rows += [(100 + i, f"plain text number{i} here again end and nothing common words") for i in range(60)]
+    out = {x["doc_id"]: x["text"] for x in sanitise(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    for i, text in rows:
+        assert out[i] == re.sub("quimby", out_of(out[i]), text, flags=re.I).replace("jane.roe@example.com", "[EMAIL]")
+
+
+def out_of(text):
+    """What stands in place of a masked term."""
+    return "[TERM]" if "[TERM]" in text else ""
+
+
 def test_warc_framing_and_damage(spark, tmp_path):
     from tangentia.llm import warc
 
