@@ -3,9 +3,9 @@
 Passages are windows of two blocks of words. Their TF-IDF vectors over the benchmark's terms (very common ones pruned, as
 TF-IDF does) are never held together: a randomised SVD takes one pass. With A the blocks' rows and W a random
 matrix, each task sums its part of A' A W, and from W and that sum alone the leading right singular vectors and
-values follow (a Nystroem form). Passages and items are compared by cosine in that whitened space.
+values follow (a Nystroem form). The cosine of passage and item in that whitened space is reported with each leak.
 
-Pairs above the cosine are candidates. They are screened by how many of the item's terms the surroundings hold, then
+Candidates are all pairs where the passage and its surroundings hold enough of the item's terms, whatever the cosine. They are
 decided by the longest common subsequence of words: an item is leaked if most of its words stand there in order, or
 (a paraphrase) if fewer do but its answer, the last quarter, is there nearly whole.
 
@@ -28,7 +28,6 @@ from tangentia.session import ship_package
 BLOCK_WORDS = 20
 RANK, MORE = 128, 16
 MOST_COMMON = 0.02  # share of blocks beyond which a term is pruned
-COSINE = 0.35
 SCREEN = 0.5
 WHOLE, PART, ANSWER = 0.8, 0.6, 0.8
 ITEMS_PER_BLOCK = 2_000
@@ -268,6 +267,7 @@ def find_leaks(items: Items, n: int, text: np.ndarray, h: np.ndarray) -> list[tu
     offset = np.arange(len(expand)) - np.repeat(np.cumsum(fan) - fan, fan)
     of_item = items.of_term[items.term_first[terms[expand, 1]] + offset] if len(expand) else np.zeros(0, np.int64)
     of_block = terms[expand, 0]
+    n_words = (first[1:] - first[:-1])[owner]
     found: dict[tuple[int, int], tuple[float, float]] = {}
     for low in range(0, len(items.words), TILE):
         high = min(low + TILE, len(items.words))
@@ -282,7 +282,8 @@ def find_leaks(items: Items, n: int, text: np.ndarray, h: np.ndarray) -> list[tu
             after[:-2][near] = count[2:][near]
         cosine = window @ items.vectors[low:high].T
         need = items.need[low:high]
-        candidate = ((cosine >= COSINE) & (around + before + after >= need)) | ((need == 0) & (cosine >= -1))
+        # a window is a small part of a long item's vector, and a short item of a window's: no pair is left out for its cosine
+        candidate = (around + before + after >= need) & (n_words[:, None] >= PART * items.length[low:high])
         for b, q in zip(*np.nonzero(candidate), strict=True):
             d, item = int(owner[b]), low + int(q)
             known = found.get((d, item))
@@ -291,6 +292,8 @@ def find_leaks(items: Items, n: int, text: np.ndarray, h: np.ndarray) -> list[tu
             size = int(items.length[item])
             start = first[d] + (b - bounds[d]) * BLOCK_WORDS
             region = h[max(first[d], start - size) : min(first[d + 1], start + 2 * BLOCK_WORDS + size)]
+            if size > 4 * BLOCK_WORDS and np.isin(region, items.words[item]).sum() < PART * size:
+                continue  # so few of its words, in any order
             bits = common_subsequence(items.masks[item], size, region.tolist())
             share = bits.bit_count() / size
             tail = max(1, size // 4)

@@ -252,6 +252,19 @@ def test_leaks_are_found_and_clean_rows_left(spark, sf_dir):
     assert kept == set(texts) - {d for d, _ in want}
 
 
+def test_short_and_long_items_are_found(spark):
+    from tangentia.llm.decontamination import leaks
+
+    r = np.random.default_rng(8)
+    prose = lambda n: " ".join(f"w{k}" for k in np.minimum(r.zipf(1.2, n), 30_000))
+    items = [(i, prose(3000)) for i in range(6)] + [(100 + i, f"{prose(3)} s{i} t{i % 7}") for i in range(40)]
+    docs = [(i, f"{prose(200)} {text} {prose(200)}") for i, text in items] + [(1000 + i, prose(400)) for i in range(100)]
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    found = {x["doc_id"]: x["item_ids"] for x in leaks(spark.createDataFrame(docs, "doc_id long, text string"), bench).collect()}
+    assert all(i in found[i] for i, _ in items)
+    assert not any(k < 100 for i in range(100) for k in found[1000 + i])
+
+
 def test_common_subsequence():
     from tangentia.llm.decontamination import common_subsequence
 
