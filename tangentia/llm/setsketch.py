@@ -160,6 +160,16 @@ def _broadcast_if_small(ids: DataFrame) -> DataFrame:
     return F.broadcast(ids) if ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS else ids
 
 
+def _ties(named: DataFrame, classes: DataFrame) -> tuple[DataFrame | None, DataFrame | None]:
+    """((doc_id) of ids with different texts, links (a, b) between the classes that such an id ties together); None where there is none."""
+    several = materialise(named.groupBy("doc_id").agg(F.min("key").alias("k0"), F.max("key").alias("k1")).where("k0 <> k1").select("doc_id"), "repeated-ids")
+    if several.isEmpty():
+        return None, None
+    own = named.join(several, "doc_id", "left_semi").select("doc_id", "key", "n").distinct().join(classes.select("key", "n", "id"), ["key", "n"]).select("doc_id", "id").distinct()
+    # the id is itself a member of its classes, so each is tied to it or to the class' least id
+    return several, materialise(own.where("id <> doc_id").select(F.col("id").alias("a"), F.col("doc_id").alias("b")).distinct(), "ties")
+
+
 class _Linker:
     """Tests pairs of classes: estimate on sketches, then confirm on texts."""
 
@@ -180,11 +190,12 @@ class _Linker:
         return materialise(q.mapInArrow(_verify_batches(self.width, self.percent), "a long, b long").distinct(), "links")
 
 
-    def prefixes(self, loose: DataFrame) -> DataFrame:
+    def prefixes(self, loose: DataFrame, several: DataFrame | None) -> DataFrame:
         """(id, n, c, shingle, place): the first shingles of each set, rarest among ``loose`` first, one of which any similar enough set has among its own first.
 
         A set of n shares at least percent * n / 100 shingles with such a set, so the first n - that + 1 will do. Shingles
-        of one set only can't be shared; they take their places and need no row.
+        of one set only can't be shared; they take their places and need no row. An id of ``several`` texts brings
+        the shingles of all of them, each in the first place: which set a shingle is of does not matter there.
         """
         ids = _broadcast_if_small(loose.select("id").distinct())
         texts = self.docs.join(ids, "id", "left_semi")
@@ -196,6 +207,9 @@ class _Linker:
         rows = rows.withColumn("alone", F.col("n") - F.count(F.lit(1)).over(by_set))
         rows = rows.withColumn("place", F.col("alone") + F.row_number().over(by_set.orderBy("count", "shingle")))
         length = F.col("n") - F.ceil(F.col("n") * self.percent / 100) + 1
+        if several is not None:
+            rows = rows.join(several.select(F.col("doc_id").alias("id"), F.lit(True).alias("many")), "id", "left")
+            rows = rows.withColumn("place", F.when(F.col("many"), F.lit(1)).otherwise(F.col("place")))
         return rows.where(F.col("place") <= length).select("id", "n", "c", "shingle", "place")
 
 
@@ -205,8 +219,9 @@ def near_duplicates(docs: DataFrame, width: int = 5, threshold: float = 0.8) ->
     A-Z is lower-cased, words are parted by ASCII white space, a document's set is its distinct shingles of ``width``
     words; with fewer words the whole sequence is its one shingle. Documents with at least ``threshold`` (in whole
     per cent) similarity are linked; component_id is the least doc_id reached, kept marks it.
-    Null and empty texts have the empty set and stay alone; rows that repeat a doc_id count as one document and
-    get the same component; a null doc_id stays alone with a null component and is kept; an empty table gives no rows.
+    Null and empty texts have the empty set and stay alone; rows that repeat a doc_id are one document, whose texts are all
+    linked with each other and with what any of them is like; n_shingles is the row's own; a null doc_id stays alone with
+    a null component and is kept; an empty table gives no rows; other columns are ignored.
     """
     ship_package(docs.sparkSession)
     percent = round(100 * threshold)
@@ -216,6 +231,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, threshold: float = 0.8) ->
     named = sketches.where("n > 0 AND doc_id IS NOT NULL")
     classes = materialise(named.groupBy("key", "n").agg(F.min("doc_id").alias("id"), F.first("sketch").alias("sketch")), "classes")
     linker = _Linker(rows, classes, width, percent)
+    several, ties = _ties(named, classes)
 
     bands = F.transform(F.sequence(F.lit(0), F.lit(BANDS - 1)), lambda k: F.xxhash64(k, F.substring(F.col("sketch"), k * (2 * BAND_ROWS) + 1, F.lit(2 * BAND_ROWS))))
     members = classes.select("id", "n", F.explode(bands).alias("bucket"))
@@ -224,6 +240,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, threshold: float = 0.8) ->
     pairs = members.where("id <> low").select(F.col("low").alias("a"), F.col("id").alias("b")).distinct()
     tried = materialise(pairs, "pairs")
     links = linker.links(tried)
+    links = links if ties is None else links.unionByName(ties)
     groups = connected_components(links, "a", "b")
 
     # members of buckets whose members are still in different components
@@ -233,7 +250,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, threshold: float = 0.8) ->
     ordered = [F.least("id", "pid").alias("a"), F.greatest("id", "pid").alias("b")]
     fits = (F.col("c") != F.col("pc")) & (100 * F.least("n", "pn") >= F.lit(percent) * F.greatest("n", "pn"))
     other = [F.col("id").alias("pid"), F.col("c").alias("pc"), F.col("n").alias("pn")]
-    first = materialise(linker.prefixes(loose), "prefixes")
+    first = materialise(linker.prefixes(loose, several), "prefixes")
     # all that two sets can share if the shingle is their first in common; with enough of it they may be similar enough
     most = 1 + F.least(F.col("n") - F.col("place"), F.col("pn") - F.col("pplace"))
     enough = most * (100 + percent) >= F.lit(percent) * (F.col("n") + F.col("pn"))
@@ -251,12 +268,16 @@ def near_duplicates(docs: DataFrame, width: int = 5, threshold: float = 0.8) ->
 
 
 def keep_one_of_each(docs: DataFrame, width: int = 5, threshold: float = 0.8) -> DataFrame:
-    """``docs`` without the documents of a group but one; of rows that repeat a doc_id, one stays."""
+    """``docs`` without the documents of a group but one; of rows that repeat a doc_id, one stays (the least by text), as all others of that document are copies by its id."""
     found = near_duplicates(docs, width, threshold)
     dropped = found.where("NOT kept").select("doc_id").distinct()
     repeated = docs.groupBy("doc_id").count().where("count > 1 AND doc_id IS NOT NULL").select("doc_id")
     left = docs.join(dropped, "doc_id", "left_anti")
     if repeated.isEmpty():
         return left.select(docs.columns)
-    once = left.join(repeated, "doc_id", "left_anti").unionByName(left.join(repeated, "doc_id", "left_semi").dropDuplicates(["doc_id"]))
-    return once.select(docs.columns)
+    fresh = "row"
+    while fresh in docs.columns:
+        fresh += "_"
+    first = Window.partitionBy("doc_id").orderBy(F.xxhash64("text"), "text")
+    once = left.join(repeated, "doc_id", "left_semi").withColumn(fresh, F.row_number().over(first)).where(F.col(fresh) == 1)
+    return left.join(repeated, "doc_id", "left_anti").select(docs.columns).unionByName(once.select(docs.columns))
