@@ -73,9 +73,10 @@ def op9_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from tangentia.llm.mixing import place_documents
+    from tangentia.llm.mixing import mix_report
 
-    return place_documents(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
+    rows = mix_report(table(spark, sf_dir, "documents"))
+    return rows.select("doc_id", "size", "source_size", "target", "taken", "passes", F.round("position", 9).alias("position"), F.round("last_position", 9).alias("last_position"))
 
 
 def queries() -> dict:
@@ -121,16 +122,21 @@ SELECT page_id, host, path, rule, coalesce(verdict, 'allow') AS verdict FROM n L
 OP10_SQL = r"""
 WITH d AS (SELECT doc_id, source, CAST(coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0) AS BIGINT) AS size, md5('0:' || CAST(doc_id AS VARCHAR)) AS h FROM documents),
 s AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size FROM d GROUP BY source),
-w AS (SELECT *, [3, 1, 2][CAST((row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 + 1 AS INTEGER)] AS weight, 2.0::DOUBLE * source_size AS cap FROM s),
+w AS (SELECT *, CAST(row_number() OVER (ORDER BY source NULLS LAST) - 1 AS INTEGER) % 3 + 1 AS k, [3, 1, 2][k] AS weight, [-0.5, 0.5, 0.0][k]::DOUBLE AS slope, 2.0::DOUBLE * source_size AS cap FROM s),
 l AS (SELECT *, (1.5::DOUBLE * CAST(sum(source_size) OVER () AS DOUBLE) - coalesce(sum(cap) OVER (ORDER BY cap / weight, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))
   / CAST(sum(weight) OVER (ORDER BY cap / weight, source NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS DOUBLE) AS level FROM w),
 m AS (SELECT arg_min(level, cap / weight) FILTER (level * weight < cap) AS last FROM l),
-t AS (SELECT source, source_size, CASE WHEN level * weight >= cap THEN cap ELSE last * weight END AS target FROM l, m),
-p AS (SELECT d.*, source_size, target, CAST(coalesce(sum(size) OVER (PARTITION BY d.source ORDER BY h, doc_id, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS start
-  FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source)
-SELECT doc_id, size, source_size, target,
-  CAST(greatest(0, least(size, CAST(round(target) AS BIGINT) - start)) + greatest(0, least(size, CAST(round(target) AS BIGINT) - start - source_size)) AS BIGINT) AS taken
-FROM p
+g AS (SELECT source, source_size, slope, CASE WHEN level * weight >= cap THEN cap ELSE last * weight END AS target FROM l, m),
+t AS (SELECT source, source_size, target, CAST(round(target) AS BIGINT) AS goal, slope - sum(round(target) * slope) OVER () / greatest(sum(round(target)) OVER (), 1) AS slope FROM g),
+p AS (SELECT d.*, source_size, target, goal, slope, CAST(coalesce(sum(size) OVER (PARTITION BY d.source ORDER BY h, doc_id, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS start
+  FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
+n AS (SELECT *, CASE WHEN size = 0 OR start >= goal THEN 0 WHEN start + source_size >= goal THEN 1 ELSE 2 END AS passes FROM p),
+f AS (SELECT *, start::DOUBLE / goal AS f0, (start + source_size * (passes - 1))::DOUBLE / goal AS f1 FROM n)
+SELECT doc_id, size, source_size, target, CAST(passes AS INTEGER) AS passes,
+  CAST(greatest(0, least(size, goal - start)) + greatest(0, least(size, goal - start - source_size)) AS BIGINT) AS taken,
+  CASE WHEN passes > 0 THEN round(2 * f0 / (1 - slope + sqrt((1 - slope) ** 2 + 4 * slope * f0)), 9) END AS position,
+  CASE WHEN passes > 0 THEN round(2 * f1 / (1 - slope + sqrt((1 - slope) ** 2 + 4 * slope * f1)), 9) END AS last_position
+FROM f
 """
 
 

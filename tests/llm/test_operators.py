@@ -291,10 +291,10 @@ def test_url_rules_on_odd_urls(spark):
 
 
 def test_mix_meets_targets(spark, sf_dir):
-    from tangentia.llm.mixing import curriculum, place_documents
+    from tangentia.llm.mixing import curriculum, mix_report
 
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    rows = place_documents(docs).collect()
+    rows = mix_report(docs).collect()
     by = {}
     for r in rows:
         t = by.setdefault(r["source"], [0, r["target"], r["source_size"]])
@@ -321,7 +321,7 @@ def test_edge_rows_have_defined_results(spark, edge):
         assert setsketch.near_duplicates(table, 4).count() == want
         assert decontamination.leaks(table, bench).count() == want
         assert pii.report(table).count() == want
-        assert mixing.place_documents(table).count() == want
+        assert mixing.mix_report(table).count() == want
         assert toxicity.drop_toxic(table, labels.limit(0)).count() <= want
         assert pii.sanitise(table).count() == want
     got = {r["doc_id"]: r["component_id"] for r in setsketch.near_duplicates(edge, 4).collect()}

@@ -59,3 +59,43 @@ def test_repeated_ids_equal_brute_force(spark):
     assert {x["doc_id"]: x["component_id"] for x in found} == want
     once = [x["doc_id"] for x in keep_one_of_each(df, 4).collect()]
     assert sorted(once) == sorted(i for i, c in want.items() if i == c)
+
+
+def test_training_time_inverts_the_schedule(spark):
+    """Against a numeric inverse of the integral; and the rates of all sources add up to the whole at each time."""
+    from pyspark.sql import functions as F
+
+    from tangentia.llm.mixing import source_targets, training_time, words_given
+
+    rows = [(float(w), 1000.0, s) for w in (0, 1, 10, 333, 999) for s in (-1.0, -0.5, -1e-12, 0.0, 0.3, 1.0)]
+    df = spark.createDataFrame(rows, "word double, goal double, slope double")
+    df = df.withColumn("t", training_time(F.col("word"), F.col("goal"), F.col("slope")))
+    for r in df.withColumn("back", words_given(F.col("t"), F.col("goal"), F.col("slope"))).collect():
+        low, high = 0.0, 1.0
+        for _ in range(60):
+            mid = (low + high) / 2
+            low, high = (mid, high) if 1000 * ((1 - r["slope"]) * mid + r["slope"] * mid * mid) < r["word"] else (low, mid)
+        assert abs(r["t"] - low) < 1e-7 and abs(r["back"] - r["word"]) < 1e-6
+    sources = spark.createDataFrame([("a", 900), ("b", 50), ("c", 400), (None, 7), ("d", 0)], "source string, source_size long")
+    t = source_targets(sources).collect()
+    assert all(-1 <= r["slope"] <= 1 for r in t)
+    assert abs(sum(round(r["target"]) * r["slope"] for r in t)) < 1e-6
+
+
+def test_the_mix_follows_the_weights_over_time(spark, sf_dir):
+    """In each tenth of training, a source gives about what the integral of its rate says, and all together a tenth."""
+    from tangentia.llm.mixing import curriculum, lay_out
+
+    docs = spark.read.parquet(f"{sf_dir.replace('0.001', '0.01')}/documents.parquet")
+    goals = {r["source"]: (round(r["target"]), r["slope"]) for r in lay_out(docs).select("source", "target", "slope").distinct().collect()}
+    total, longest = sum(g for g, _ in goals.values()), {}
+    given = {}
+    for r in curriculum(docs).collect():
+        longest[r["source"]] = max(longest.get(r["source"], 0), r["taken"])
+        k = (r["source"], min(int(r["position"] * 10), 9))
+        given[k] = given.get(k, 0) + r["taken"]
+    for s, (goal, slope) in goals.items():
+        at = lambda t: goal * ((1 - slope) * t + slope * t * t)
+        for k in range(10):
+            assert abs(given.get((s, k), 0) - (at((k + 1) / 10) - at(k / 10))) <= 2 * longest.get(s, 0) + 2
+    assert abs(sum(given.values()) - total) <= len(goals)
