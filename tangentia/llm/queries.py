@@ -45,7 +45,9 @@ def op4_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     from tangentia.llm.toxicity import toxicity_scores
 
-    return toxicity_scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), spans=False)
+    scored = toxicity_scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+    offsets = F.transform("spans", lambda s: F.concat_ws(":", s["start"].cast("string"), s["end"].cast("string")))
+    return scored.select("doc_id", "held_out", "score", "predicted", F.array_join(offsets, ",").alias("toxic_spans"))
 
 
 def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
