@@ -1,21 +1,23 @@
 """Benchmark decontamination by latent semantic retrieval.
 
-Passages are windows of two blocks of words. Their TF-IDF vectors over the benchmark's terms (very common ones pruned, as
-TF-IDF does) are never held together: a randomised SVD takes one pass. With A the blocks' rows and W a random
-matrix, each task sums its part of A' A W, and from W and that sum alone the leading right singular vectors and
-values follow (a Nystroem form). The cosine of passage and item in that whitened space is reported with each leak.
+Passages are windows of two blocks of words; items longer than that are cut into passages of about that length too. Their
+TF-IDF vectors over the benchmark's terms (very common ones pruned, as TF-IDF does) are never held together: a randomised SVD
+takes one pass. With A the blocks' rows and W a random matrix, each task sums its part of A' A W, and from W and that
+sum alone the leading right singular vectors and values follow (a Nystroem form). In that whitened space, a text's window
+that is near one of an item's passages is a candidate for the item. So is, as an exact way for what the reduced space
+misses, a window whose surroundings hold enough of the passage's terms.
 
-Candidates are all pairs where the passage and its surroundings hold enough of the item's terms, whatever the cosine. They are
-decided by the longest common subsequence of words: an item is leaked if most of its words stand there in order, or
-(a paraphrase) if fewer do but its answer, the last quarter, is there nearly whole.
+Candidates are decided on the whole item by the longest common subsequence of words: an item is leaked if most of its words
+stand there in order, or (a paraphrase) if fewer do but its answer, the last quarter, is there nearly whole.
 
 Items come in blocks of bounded size; a block's terms and vectors are what the driver and each task hold.
 """
 
 from __future__ import annotations
 
+from bisect import bisect_left
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -28,13 +30,15 @@ from tangentia.session import ship_package
 BLOCK_WORDS = 20
 RANK, MORE = 128, 16
 MOST_COMMON = 0.02  # share of blocks beyond which a term is pruned
-SCREEN = 0.5
+COSINE = 0.35  # of a window and an item's passage, from which the two are candidates
+SCREEN = 0.5  # share of a passage's terms, likewise
 WHOLE, PART, ANSWER = 0.8, 0.6, 0.8
 ITEMS_PER_BLOCK = 2_000
-ITEM_BYTES = 1 << 16  # of items that have more, the rest is compared as further items
+WIDE_ITEM = 1 << 14  # words from which an item's subsequence is found by places, not by masks of bits: the same result, in less memory
 TILE = 512
 CHUNK = 16
 SEED = 11
+NEVER = 1 << 30  # more terms than surroundings can hold
 
 
 @dataclass
@@ -44,9 +48,10 @@ class Items:
     ids: list
     words: list[np.ndarray]
     terms: np.ndarray  # sorted hashes
+    cuts: list[tuple[int, int, int]] = field(default_factory=list)  # passages: item, first word, end
     idf: np.ndarray | None = None  # 0: pruned
     project: np.ndarray | None = None  # (terms, rank): idf times whitened singular vectors
-    vectors: np.ndarray | None = None  # (items, rank), of length 1
+    vectors: np.ndarray | None = None  # (passages, rank), of length 1
 
     def columns(self, h: np.ndarray) -> np.ndarray:
         """The term of each hash, or -1: a look into a sparse table by leading bits, and a search where terms share a place."""
@@ -68,29 +73,50 @@ class Items:
         return at
 
     def prepare(self) -> None:
-        """What only depends on the model: masks of words for the subsequence, the items of each term, and what the screen asks for."""
+        """What only depends on the model: where an item has each word, the passages of each term, and what the screen asks for."""
         self.length = np.array([len(w) for w in self.words])
-        self.masks, pairs, kept = [], [], []
-        for q, w in enumerate(self.words):
-            mask: dict[int, int] = {}
-            for k, x in enumerate(w.tolist()):
-                mask[x] = mask.get(x, 0) | (1 << k)
-            self.masks.append(mask)
-            own = np.unique(self.columns(w))
-            own = own[(own >= 0)]
+        self.places = [_places(w) for w in self.words]
+        self.owner = np.array([q for q, *_ in self.cuts])
+        pairs, kept, reach = [], [], []
+        for k, (q, a, b) in enumerate(self.cuts):
+            own = np.unique(self.columns(self.words[q][a:b]))
+            own = own[own >= 0]
             own = own[self.idf[own] > 0]
             kept.append(len(own))
-            pairs += [(c, q) for c in own]
+            reach.append(min(1.0, 2 * BLOCK_WORDS / max(b - a, 1)))
+            pairs += [(c, k) for c in own]
         kept = np.array(kept)
-        reach = np.minimum(1.0, 2 * BLOCK_WORDS / np.maximum(self.length, 1))
-        self.need = np.maximum(1, np.ceil(SCREEN * kept * reach)).astype(np.int32)
-        self.need[kept == 0] = 0  # of common words only: the subsequence decides alone
+        self.need = np.maximum(1, np.ceil(SCREEN * kept * np.array(reach))).astype(np.int32)
+        # a passage of common words only calls for nothing; an item of nothing else is compared with every window
+        alone = np.bincount(self.owner, weights=kept, minlength=len(self.words)) == 0
+        first = np.r_[True, self.owner[1:] != self.owner[:-1]]
+        self.need[kept == 0] = NEVER
+        self.need[alone[self.owner] & first] = 0
         self.vectors[kept == 0] = 0
         table = np.array(sorted(pairs), np.int64).reshape(-1, 2)
         self.of_term = table[:, 1]
         self.term_first = np.searchsorted(table[:, 0], np.arange(len(self.terms) + 1))
 
 
+def _places(words: np.ndarray) -> dict:
+    """Of each word, a mask of its places; of a very long item, the list of its places, last one first."""
+    found: dict = {}
+    if len(words) <= WIDE_ITEM:
+        for k, x in enumerate(words.tolist()):
+            found[x] = found.get(x, 0) | (1 << k)
+    else:
+        for k in range(len(words) - 1, -1, -1):
+            found.setdefault(int(words[k]), []).append(k)
+    return found
+
+
+def passages_of(length: int) -> list[tuple[int, int]]:
+    """(first word, end) of even passages of about two blocks; a text of less than three blocks is one."""
+    n = max(1, round(length / (2 * BLOCK_WORDS)))
+    at = [length * k // n for k in range(n + 1)]
+    return list(zip(at[:-1], at[1:], strict=True))
+
+
 def words_of(buf: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(text, hash) of each run of letters and digits, without regard to the case of Latin letters."""
     text, start, end = textkit.word_spans(buf, offs, textkit.ALNUM)
@@ -107,16 +133,15 @@ def blocks_of(text: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndar
 
 
 def load_items(rows: list[tuple]) -> Items:
-    ids, words = [], []
+    ids, words, cuts = [], [], []
     for item_id, text in rows:
-        data = (text or "").encode()
-        for at in range(0, max(len(data), 1), ITEM_BYTES):
-            piece = np.frombuffer(data[at : at + ITEM_BYTES], np.uint8)
-            _, h = words_of(piece, np.array([0, len(piece)]))
-            if len(h):
-                ids.append(item_id)
-                words.append(h)
-    return Items(ids, words, np.unique(np.concatenate(words)) if words else np.zeros(0, np.uint64))
+        data = np.frombuffer((text or "").encode(), np.uint8)
+        _, h = words_of(data, np.array([0, len(data)]))
+        if len(h):
+            cuts += [(len(ids), a, b) for a, b in passages_of(len(h))]
+            ids.append(item_id)
+            words.append(h)
+    return Items(ids, words, np.unique(np.concatenate(words)) if words else np.zeros(0, np.uint64), cuts)
 
 
 def _runs_of(batches: Iterator[pa.RecordBatch], column: int = 0):
@@ -224,7 +249,7 @@ def fit_items(docs: DataFrame, items: Items) -> Items:
     else:
         left, size = np.zeros((len(items.terms), 1)), np.ones(1)
     items.project = (left / size * items.idf[:, None]).astype(np.float32)
-    vectors = np.stack([items.project[items.columns(w)].sum(0) for w in items.words])
+    vectors = np.stack([items.project[items.columns(items.words[q][a:b])].sum(0) for q, a, b in items.cuts])
     items.vectors = (vectors / (np.linalg.norm(vectors, axis=1, keepdims=True) + 1e-12)).astype(np.float32)
     return items
 
@@ -241,9 +266,46 @@ def common_subsequence(masks: dict[int, int], length: int, words: list[int]) ->
     return full & ~v
 
 
+def common_places(places: dict[int, list[int]], words: list[int]) -> list[int]:
+    """The places of those bits, from lists of places: for each length, the least place at which a common subsequence of it ends."""
+    ends: list[int] = []
+    for w in words:
+        for k in places.get(w, ()):
+            at = bisect_left(ends, k)
+            ends[at : at + 1] = [k]
+    return ends
+
+
+def shares(items: Items, q: int, words: list[int]) -> tuple[float, float]:
+    """(share of the item's words, and of its last quarter's) that ``words`` holds in order."""
+    size = int(items.length[q])
+    tail = max(1, size // 4)
+    if size <= WIDE_ITEM:
+        bits = common_subsequence(items.places[q], size, words)
+        return bits.bit_count() / size, (bits >> (size - tail)).bit_count() / tail
+    ends = common_places(items.places[q], words)
+    return len(ends) / size, (len(ends) - bisect_left(ends, size - tail)) / tail
+
+
+def regions(blocks: list[int], size: int) -> Iterator[tuple[int, int, int]]:
+    """(first word, end, a candidate block) of the stretches around candidate blocks, in words from the text's first, in which the item may lie.
+
+    A short item has one for each block. Those of a long item, which reach an item's length to both sides, are joined where
+    they begin within half of that.
+    """
+    step = size // 2 if size > 4 * BLOCK_WORDS else 0
+    at = 0
+    while at < len(blocks):
+        last = at
+        while last + 1 < len(blocks) and (blocks[last + 1] - blocks[at]) * BLOCK_WORDS <= step:
+            last += 1
+        yield blocks[at] * BLOCK_WORDS - size, (blocks[last] + 2) * BLOCK_WORDS + size, blocks[at]
+        at = last + 1
+
+
 def find_leaks(items: Items, n: int, text: np.ndarray, h: np.ndarray) -> list[tuple[int, int, float, float]]:
     """(text, item, cosine, share of the item's words) of the leaks in one run of texts."""
-    if not hasattr(items, "masks"):
+    if not hasattr(items, "places"):
         items.prepare()
     block, bounds, first = blocks_of(text, n)
     blocks = int(bounds[-1])
@@ -268,39 +330,40 @@ def find_leaks(items: Items, n: int, text: np.ndarray, h: np.ndarray) -> list[tu
     of_item = items.of_term[items.term_first[terms[expand, 1]] + offset] if len(expand) else np.zeros(0, np.int64)
     of_block = terms[expand, 0]
     n_words = (first[1:] - first[:-1])[owner]
-    found: dict[tuple[int, int], tuple[float, float]] = {}
-    for low in range(0, len(items.words), TILE):
-        high = min(low + TILE, len(items.words))
+    near: dict[tuple[int, int], dict[int, float]] = {}  # (text, item): cosine of each candidate block
+    for low in range(0, len(items.cuts), TILE):
+        high = min(low + TILE, len(items.cuts))
         here = (of_item >= low) & (of_item < high)
         count = np.bincount(of_block[here] * (high - low) + of_item[here] - low, minlength=blocks * (high - low)).reshape(blocks, -1).astype(np.int16)
         around = count.copy()
         around[:-1][joined[:-1]] += count[1:][joined[:-1]]  # the window's two blocks
-        before, after = np.zeros_like(around), np.zeros_like(around)
-        before[1:][joined[:-1]] = count[:-1][joined[:-1]]
+        around[1:][joined[:-1]] += count[:-1][joined[:-1]]  # the one before
         if blocks > 2:
-            near = joined[:-2] & joined[1:-1]
-            after[:-2][near] = count[2:][near]
+            both = joined[:-2] & joined[1:-1]
+            around[:-2][both] += count[2:][both]  # the one after
         cosine = window @ items.vectors[low:high].T
-        need = items.need[low:high]
-        # a window is a small part of a long item's vector, and a short item of a window's: no pair is left out for its cosine
-        candidate = (around + before + after >= need) & (n_words[:, None] >= PART * items.length[low:high])
-        for b, q in zip(*np.nonzero(candidate), strict=True):
-            d, item = int(owner[b]), low + int(q)
-            known = found.get((d, item))
-            if known and known[1] >= 1:
-                continue
-            size = int(items.length[item])
-            start = first[d] + (b - bounds[d]) * BLOCK_WORDS
-            region = h[max(first[d], start - size) : min(first[d + 1], start + 2 * BLOCK_WORDS + size)]
+        # a window is a small part of what stands around a short item, so enough of its terms will do whatever the cosine
+        candidate = (around >= items.need[low:high]) | (cosine >= COSINE)
+        candidate &= n_words[:, None] >= PART * items.length[items.owner[low:high]]
+        for b, k in zip(*np.nonzero(candidate), strict=True):
+            own = near.setdefault((int(owner[b]), int(items.owner[low + k])), {})
+            at = int(b - bounds[owner[b]])
+            own[at] = max(own.get(at, -1.0), float(cosine[b, k]))
+    found = []
+    for (d, item), blocks_near in near.items():
+        size, best = int(items.length[item]), (0.0, 0.0)
+        for a, z, at in regions(sorted(blocks_near), size):
+            region = h[first[d] + max(0, a) : min(first[d + 1], first[d] + z)]
             if size > 4 * BLOCK_WORDS and np.isin(region, items.words[item]).sum() < PART * size:
                 continue  # so few of its words, in any order
-            bits = common_subsequence(items.masks[item], size, region.tolist())
-            share = bits.bit_count() / size
-            tail = max(1, size // 4)
-            leaked = share >= WHOLE or (share >= PART and (bits >> (size - tail)).bit_count() >= ANSWER * tail)
-            if leaked and (known is None or share > known[1]):
-                found[d, item] = float(cosine[b, q]), share
-    return [(d, item, cos, share) for (d, item), (cos, share) in found.items()]
+            share, answer = shares(items, item, region.tolist())
+            if share >= WHOLE or (share >= PART and answer >= ANSWER):
+                best = max(best, (share, blocks_near[at]))
+                if share == 1:
+                    break
+        if best[0]:
+            found.append((d, item, best[1], best[0]))
+    return found
 
 
 def item_blocks(benchmark: DataFrame, size: int = ITEMS_PER_BLOCK) -> Iterator[Items]:
