@@ -180,13 +180,14 @@ def test_warc_framing_and_damage(spark, tmp_path):
 
 
 def test_kd_tree_is_exact():
-    from tangentia.llm.topk import search_shard
+    from tangentia.llm.topk import KdTree, search_shard
 
     r = np.random.default_rng(2)
     x = r.integers(-50, 50, (900, 4))
     x[100:200] = x[0]
     ids, q = np.arange(900), x[:40]
-    got = search_shard(ids, x, ids[:40], q, np.full(40, -np.inf), 5)
+    tree, own = KdTree.loaded(KdTree(x).stored(ids))
+    got = search_shard(tree, own, ids[:40], q, np.full(40, -np.inf), 5)
     for i in range(40):
         s = x @ q[i]
         want = sorted((-int(s[j]), int(j)) for j in range(900) if j != i)[:5]
