@@ -15,10 +15,11 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 RULES_PER_RANGE = 10_000
+INLINE_RULES = 1_000
 UPPER, LOW = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 RULE_TYPE = "host string, path string, verdict string"
 
@@ -36,6 +37,14 @@ def host_key(host: Column) -> Column:
     return F.concat(F.array_join(F.reverse(F.split(host, r"\.", -1)), "."), F.lit("."))
 
 
+def inline_rules(spark: SparkSession, rules: Sequence[tuple[str, str, str]]) -> DataFrame:
+    """A few rules as a table of literals, so that no Python worker starts for them; many are sent as a table."""
+    if not 0 < len(rules) <= INLINE_RULES:
+        return spark.createDataFrame(list(rules), RULE_TYPE)
+    rows = F.array(*[F.struct(*[F.lit(v).cast("string").alias(n) for n, v in zip(("host", "path", "verdict"), r, strict=True)]) for r in rules])
+    return spark.range(1).select(F.inline(rows))
+
+
 def rule_stacks(rules: DataFrame) -> DataFrame:
     """One row for each rule host: key, and ``stack``, the rules of this host and of every host above it.
 
@@ -69,13 +78,13 @@ def judge_urls(
     rules: (host, path prefix, verdict) rows or tuples. A rule fits its host and all subdomains where the
     url's path starts with the rule's; of those that fit, the one with the most characters in host and path
     wins, then ``block`` before ``allow``. Without one, rule is null and the verdict ``default``.
-    Null or ``://``-less urls have an empty host and path and fit no rule; repeated rows are judged each;
+    Of hosts, urls' and rules', A-Z are lower-cased. Null or ``://``-less urls have an empty host and path and fit no rule; repeated rows are judged each;
     other columns of ``pages`` are ignored, whatever their names; an empty table gives an empty result.
     """
     spark = pages.sparkSession
     if not isinstance(rules, DataFrame):
-        rules = spark.createDataFrame(list(rules), RULE_TYPE)
-    rules = rules.select(F.translate(F.lower("host"), UPPER, LOW).alias("host"), F.coalesce("path", F.lit("")).alias("path"), "verdict").where("host is not null")
+        rules = inline_rules(spark, rules)
+    rules = rules.select(F.translate("host", UPPER, LOW).alias("host"), F.coalesce("path", F.lit("")).alias("path"), "verdict").where("host is not null")
     stacks = rule_stacks(rules)
     n_hosts = stacks.count()
     cuts: list[str] = []
