@@ -106,7 +106,7 @@ def schedule(laid: DataFrame, most: float = 2.0) -> DataFrame:
 
 
 def mix_report(docs: DataFrame, weights=(3, 1, 2), share: float = 1.5, most: float = 2.0, seed: int = 0, slopes=SLOPES) -> DataFrame:
-    """(doc_id, size, source_size, target, taken, passes, position, last_position) of each row, in training order.
+    """(doc_id, source, size, source_size, target, taken, passes, position, last_position) of each row, in training order.
 
     taken: words read of it in all passes; position, last_position: the times in [0, 1] at which its first and last pass begin.
     Null texts have size 0; what is never read has no passes, takes 0, has null positions and comes first; null sources are
@@ -115,7 +115,7 @@ def mix_report(docs: DataFrame, weights=(3, 1, 2), share: float = 1.5, most: flo
     """
     rows = schedule(lay_out(docs, weights, share, most, seed, slopes), most)
     taken = F.aggregate("passes", F.lit(0).cast("long"), lambda total, p: total + p["taken"])
-    rows = rows.select("doc_id", "size", "source_size", "target", taken.alias("taken"), F.size("passes").alias("passes"), F.get("passes", F.lit(0))["position"].alias("position"), F.try_element_at("passes", F.lit(-1))["position"].alias("last_position"), "digest")
+    rows = rows.select("doc_id", "source", "size", "source_size", "target", taken.alias("taken"), F.size("passes").alias("passes"), F.get("passes", F.lit(0))["position"].alias("position"), F.try_element_at("passes", F.lit(-1))["position"].alias("last_position"), "digest")
     return rows.repartitionByRange("position", "digest").sortWithinPartitions("position", "digest").drop("digest")
 
 
