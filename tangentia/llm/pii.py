@@ -193,14 +193,23 @@ def report(docs: DataFrame) -> DataFrame:
     return found.select("doc_id", *[count(k) for k in KINDS], F.sha2(listed(F.col("base")).cast("binary"), 256).alias("base_sha256"), listed(F.concat("base", "terms")).alias("spans"))
 
 
+def _unused(columns: list[str], *names: str) -> list[str]:
+    """Names for columns of our own that ``columns`` does not have."""
+    lead = "_"
+    while any(c.lower().startswith(lead) for c in columns):
+        lead += "_"
+    return [lead + n for n in names]
+
+
 def sanitise(docs: DataFrame) -> DataFrame:
     """``docs`` with each span's text replaced by its kind in brackets, or left out where a term is to be removed; n_chars follows.
 
-    Spans that overlap are replaced as one, by the kind of the first. Rows without spans are left as they are, null texts too.
+    Spans that overlap are replaced as one, by the kind of the first. Rows without spans are left as they are, null texts too; other columns pass through, whatever their names.
     """
+    at_id, at_digest, at_spans = _unused(docs.columns, "id", "digest", "spans")
     found = find_personal(docs).where((F.size("base") > 0) | (F.size("terms") > 0)).dropDuplicates(["doc_id", "digest"])
-    found = found.select(F.col("doc_id").alias("__id"), F.col("digest").alias("__digest"), F.sort_array(F.transform(F.concat("base", "terms"), lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), F.when(s["value"] == "removed", F.lit("")).otherwise(F.concat(F.lit("["), F.upper(s["kind"]), F.lit("]"))).alias("by")))).alias("__spans"))
-    joined = docs.join(found, docs["doc_id"].eqNullSafe(F.col("__id")) & (text_digest() == F.col("__digest")), "left")
+    found = found.select(F.col("doc_id").alias(at_id), F.col("digest").alias(at_digest), F.sort_array(F.transform(F.concat("base", "terms"), lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), F.when(s["value"] == "removed", F.lit("")).otherwise(F.concat(F.lit("["), F.upper(s["kind"]), F.lit("]"))).alias("by")))).alias(at_spans))
+    joined = docs.join(found, F.col("doc_id").eqNullSafe(F.col(at_id)) & (text_digest() == F.col(at_digest)), "left")
     start = F.struct(F.lit(0).alias("at"), F.array().cast("array<string>").alias("pieces"))
 
     def step(acc: Column, s: Column) -> Column:
@@ -208,8 +217,8 @@ def sanitise(docs: DataFrame) -> DataFrame:
         fresh = s["start"] >= acc["at"]
         return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), F.when(fresh, F.concat(acc["pieces"], F.array(between, s["by"]))).otherwise(acc["pieces"]).alias("pieces"))
 
-    rewritten = F.aggregate("__spans", start, step, lambda acc: F.concat(F.array_join(acc["pieces"], ""), F.substring(F.col("text"), acc["at"] + 1, F.length("text"))))
-    out = joined.withColumn("text", F.when(F.col("__spans").isNull(), F.col("text")).otherwise(rewritten))
+    rewritten = F.aggregate(at_spans, start, step, lambda acc: F.concat(F.array_join(acc["pieces"], ""), F.substring(F.col("text"), acc["at"] + 1, F.length("text"))))
+    out = joined.withColumn("text", F.when(F.col(at_spans).isNull(), F.col("text")).otherwise(rewritten))
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("__spans").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
+        out = out.withColumn("n_chars", F.when(F.col(at_spans).isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
     return out.select(docs.columns)

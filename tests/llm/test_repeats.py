@@ -99,3 +99,56 @@ def test_the_mix_follows_the_weights_over_time(spark, sf_dir):
         for k in range(10):
             assert abs(given.get((s, k), 0) - (at((k + 1) / 10) - at(k / 10))) <= 2 * longest.get(s, 0) + 2
     assert abs(sum(given.values()) - total) <= len(goals)
+
+
+def test_nearest_vectors_of_odd_tables(spark):
+    """Null, non-finite and empty vectors take no part; lengths don't mix; repeats, ties and few candidates; many query blocks and shards."""
+    from tangentia.llm.topk import top_k
+
+    r = random.Random(4)
+    rows = [(i, [r.uniform(-1, 1) for _ in range(4 if i % 3 else 2)]) for i in range(160)]
+    rows += [(50, None), (100, [float("nan")] * 4), (150, []), (None, [1.0] * 4), (7, [float("inf")] * 4), (8, [None, 1.0])]
+    rows += [(200, [0.5] * 4)] * 9 + [(201, [0.5] * 4)] * 9 + [(250, [3.0] * 7)]
+    df = spark.createDataFrame([(i, v, 0, "x") for i, v in rows], "vec_id long, embedding array<double>, score long, shard string")
+    plain = [(i, [int(c * 256 // 1) for c in v]) for i, v in rows if i is not None and v and all(c is not None and abs(c) < 1e300 for c in v)]
+    want = set()
+    for q in {i for i, _ in plain if i % 50 == 0}:
+        v = min(([len(x), x] for i, x in plain if i == q))[1]
+        best = sorted((-sum(a * b for a, b in zip(v, x)), i) for i, x in plain if i != q and len(x) == len(v))[:5]
+        want |= {(q, k + 1, i, -s) for k, (s, i) in enumerate(best)}
+    for shard_rows, query_rows in ((16_384, 16_384), (20, 2)):
+        assert {tuple(x) for x in top_k(df, shard_rows=shard_rows, query_rows=query_rows).collect()} == want
+    assert top_k(df.limit(0)).count() == 0
+
+
+def test_url_rules_on_an_empty_table_and_clashing_columns(spark):
+    from tangentia.llm.urls import judge_urls
+
+    rules = [("Com", "/", "allow"), ("a.com", "/x", "block"), ("\u0130.com", "/", "block")]
+    rows = [(1, "http://A.com/xy", "h", "p", "r"), (1, "http://A.com/xy", "h", "p", "r"), (None, None, None, None, None), (2, "x://\u0130.com/", "", "", "")]
+    df = spark.createDataFrame(rows, "page_id long, url string, host string, path string, rule string")
+    got = sorted(map(tuple, judge_urls(df, rules).collect()), key=str)
+    assert got == sorted([(1, "a.com", "/xy", "a.com/x", "block"), (1, "a.com", "/xy", "a.com/x", "block"), (None, "", "", None, "allow"), (2, "\u0130.com", "/", "\u0130.com/", "block")], key=str)
+    assert judge_urls(df.limit(0), rules).count() == 0
+    assert {r["verdict"] for r in judge_urls(df, []).collect()} == {"allow"}
+
+
+def test_sanitise_keeps_clashing_columns(spark):
+    from tangentia.llm.pii import sanitise
+
+    df = spark.createDataFrame([(1, "write to a@b.com now", "s", "d", 5), (1, "write to a@b.com now", "s", "d", 5), (2, None, None, None, None)], "doc_id long, text string, __spans string, _digest string, n_chars long")
+    got = sorted(map(tuple, sanitise(df).collect()))
+    assert sorted(got, key=str) == sorted([(1, "write to [EMAIL] now", "s", "d", 20)] * 2 + [(2, None, None, None, None)], key=str)
+
+
+@pytest.mark.parametrize("beside,want", [(0, ""), (1, ""), (3, "[TERM]"), (9, None)])
+def test_terms_are_removed_generalised_or_left_by_their_share(spark, beside, want):
+    """A name in 6 texts with one address, and in ``beside`` more without it: alone it tells all of the address, then most, then too little."""
+    from tangentia.llm.pii import sanitise
+
+    rows = [(i, f"one{i} Quimby wrote{i} to jane.roe@example.com about{i}") for i in range(6)]
+    rows += [(100 + i, f"Quimby stood{i} elsewhere{i}") for i in range(beside)]
+    rows += [(1000 + i, f"plain{i} text number{i}") for i in range(600)]
+    out = {r["doc_id"]: r["text"] for r in sanitise(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    name = "Quimby" if want is None else want
+    assert all(out[i] == t.replace("Quimby", name).replace("jane.roe@example.com", "[EMAIL]") for i, t in rows)
