@@ -87,6 +87,11 @@ class Items:
             pairs += [(c, k) for c in own]
         kept = np.array(kept)
         self.need = np.maximum(1, np.ceil(SCREEN * kept * np.array(reach))).astype(np.int32)
+        # a leaked item leaves out at most so many of its words, so this many of its terms must stand in the region; passages of longer items say nothing of that
+        missing = np.floor((1 - PART) * self.length[self.owner] + 1e-9).astype(int)
+        whole = np.bincount(self.owner, minlength=len(self.words))[self.owner] == 1
+        self.least = np.where(whole, kept - missing, 0)
+        self.reach = -(-self.length[self.owner] // BLOCK_WORDS)  # blocks of a region to each side of its window
         # a passage of common words only calls for nothing; an item of nothing else is compared with every window
         alone = np.bincount(self.owner, weights=kept, minlength=len(self.words)) == 0
         first = np.r_[True, self.owner[1:] != self.owner[:-1]]
@@ -345,7 +350,12 @@ def find_leaks(items: Items, n: int, text: np.ndarray, h: np.ndarray) -> list[tu
         # a window is a small part of what stands around a short item, so enough of its terms will do whatever the cosine
         candidate = (around >= items.need[low:high]) | (cosine >= COSINE)
         candidate &= n_words[:, None] >= PART * items.length[items.owner[low:high]]
-        for b, k in zip(*np.nonzero(candidate), strict=True):
+        at_block, at_item = np.nonzero(candidate)
+        running = np.concatenate([np.zeros((1, high - low), np.int32), np.cumsum(count, axis=0, dtype=np.int32)])
+        side = items.reach[low + at_item]
+        before, after = np.maximum(at_block - side, bounds[owner[at_block]]), np.minimum(at_block + 2 + side, bounds[owner[at_block] + 1])
+        enough = running[after, at_item] - running[before, at_item] >= items.least[low + at_item]
+        for b, k in zip(at_block[enough], at_item[enough], strict=True):
             own = near.setdefault((int(owner[b]), int(items.owner[low + k])), {})
             at = int(b - bounds[owner[b]])
             own[at] = max(own.get(at, -1.0), float(cosine[b, k]))
