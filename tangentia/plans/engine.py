@@ -10,11 +10,11 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tangentia.functions.numeric import classical_scaling, nearest, procrustes, shortest_paths, top_eigen
+from tangentia.functions.numeric import centred_gram, classical_scaling, nearest, procrustes, shortest_paths, top_eigen
 from tangentia.operators import cluster as C
-from tangentia.operators.geodesic import geodesics
+from tangentia.operators.geodesic import MAX_ARCS, SOURCES_PER_TASK
 from tangentia.operators.mapper import Manifold, Model, map_points
-from tangentia.operators.neighbors import bridge_components, collect_points, knn, symmetrize
+from tangentia.operators.neighbors import collect_points, knn, proper
 from tangentia.operators.spectral import LOCAL_ROWS, dim_from_spectrum, eig_top, gram_rows
 from tangentia.operators.stitch import apply_stitch, centers, fit_stitch, identity_stitch, skeleton, support_set
 from tangentia.session import materialise, ship_package, table_frame
@@ -22,13 +22,15 @@ from tangentia.session import materialise, ship_package, table_frame
 
 @dataclass(frozen=True)
 class EmbedParams:
-    """eps, mode, n_tangent, svd_*: clustering; n_neighbors: graphs; k_near, l_far: support pairs; lam: ridge; d: dimension (None: from the spectrum)."""
+    """eps, mode, n_tangent: clustering, at the scale of svd_* or (None) that of multiscale singular values; affinity, min_size, max_clusters: merging;
+    n_neighbors: graphs; k_near, l_far: support pairs; lam: ridge; d: dimension (None: from the spectrum)."""
 
     eps: float | None = 0.9
     n_neighbors: int = 8
     n_tangent: int = 2
-    mode: str = "projection"
-    svd_neighbors: int = 20
+    mode: str = "l1"
+    svd_neighbors: int | None = None
+    svd_radius: float | None = None
     graph: str = "directed"
     d: int | None = 2
     d_global: int = 3
@@ -39,8 +41,8 @@ class EmbedParams:
     support_metric: str = "euclidean"
     min_size: int = 50
     max_clusters: int | None = None
-    affinity: str = "votes"
-    landmarks: int | None = None  # path lengths are stored from so many points; None: from all, up to LOCAL_ROWS
+    affinity: str = "continuity"
+    landmarks: int | None = None  # path lengths are stored from so many points of each cluster; None: from all
     seed: int = 0
 
 
@@ -62,8 +64,6 @@ def embed_clusters(points: DataFrame, labels: DataFrame, k: int, d: int | None)
 
 
 def _dimension(g: np.ndarray) -> int:
-    from tangentia.functions.numeric import centred_gram
-
     return max(1, dim_from_spectrum(np.linalg.eigvalsh(centred_gram(g))[::-1][:10]))
 
 
@@ -73,7 +73,8 @@ def local_arcs(ids: np.ndarray, x: np.ndarray, k: int) -> tuple[np.ndarray, np.n
     if n < 2:
         z = np.zeros(0, np.int64)
         return z, z, np.zeros(0)
-    places, dists = nearest(x, x, ids, min(k, n - 1), ids)
+    found = [nearest(x[at : at + 1024], x, ids, min(k, n - 1), ids[at : at + 1024]) for at in range(0, n, 1024)]
+    places, dists = (np.concatenate([f[i] for f in found]) for i in (0, 1))
     a, b, w = np.repeat(np.arange(n), places.shape[1]), places.ravel(), dists.ravel()
     a, b, w = np.r_[a, b], np.r_[b, a], np.r_[w, w]
     while True:
@@ -104,82 +105,169 @@ def local_geodesics(ids: np.ndarray, x: np.ndarray, k: int, sources: np.ndarray
 def fit(batch: DataFrame, params: EmbedParams = EmbedParams(), labels: DataFrame | None = None) -> Model:
     """Cluster, embed each cluster, stitch. ``labels`` (id, cluster) skips the clustering (forced or true clusters).
 
-    The batch is bounded and is the only thing that is ever held whole; path lengths are worked out in tasks. Of rows that
-    repeat an id, one is learnt from.
+    The batch is bounded (checked) and is the only thing that is ever held whole; neighbours, planes, path lengths and
+    factorisations are worked out in tasks, all clusters at once. Of rows that repeat an id, one is learnt from; rows without
+    an id, without a label where labels are given, or without a proper vector (see ``collect_points``) are left out; an empty batch
+    gives a model of no manifolds, a single point one of one point.
     """
     spark = batch.sparkSession
-    points = materialise(batch.select("id", "x").dropDuplicates(["id"]), "batch")
-    edges = materialise(knn(points, params.n_neighbors), "knn")
+    points = materialise(proper(batch).dropDuplicates(["id"]), "batch")
     if labels is None:
-        labels = C.tangent_cluster(points, params.eps, params.n_neighbors, params.n_tangent, params.mode, params.graph, params.seed, svd_neighbors=params.svd_neighbors)
-        labels = C.merge_clusters(materialise(labels, "labels"), edges, None, params.min_size, params.max_clusters, params.affinity)
-    labels = materialise(labels.select("id", F.col("cluster").cast("int").alias("cluster")), "labels")
-    ids, x = collect_points(points)
-    of = dict(labels.collect())
-    cluster = np.array([of[i] for i in ids.tolist()])
-    parts = []
-    for c in np.unique(cluster):
-        own = cluster == c
-        parts.append((int(c), ids[own], x[own], *_learn(spark, points, labels, int(c), ids[own], x[own], params)))
-    emb = table_frame(spark, pd.concat([pd.DataFrame({"id": i, "cluster": np.int32(c), "y": list(y)}) for c, i, _, y, *_ in parts]), "id long, cluster int, y array<double>")
+        edges = materialise(knn(points, params.n_neighbors), "knn")
+        labels = C.tangent_manifolds(
+            points, params.eps, params.n_neighbors, params.n_tangent, params.mode, params.graph, params.seed, params.svd_neighbors, params.svd_radius,
+            params.min_size, params.max_clusters, params.affinity, edges,
+        )
+    labels = materialise(labels.where("cluster IS NOT NULL").select("id", F.col("cluster").cast("int").alias("cluster")).dropDuplicates(["id"]), "labels")
+    points = materialise(points.join(labels.select("id"), "id", "left_semi"), "learnt")
+    parts = _learn(points, labels, params)
+    if not parts:
+        return Model([], asdict(params))
+    emb = table_frame(spark, pd.concat([pd.DataFrame({"id": p.ids, "cluster": np.int32(p.cluster), "y": list(p.y)}) for p in parts]), "id long, cluster int, y array<double>")
     emb = materialise(emb, "embedding")
     if len(parts) == 1:
         stitch = identity_stitch(emb)
     else:
         support = materialise(support_set(points, labels, params.k_near, params.l_far), "support")
+        edges = knn(points, params.n_neighbors) if params.support_metric == "geodesic" else None
         skel = skeleton(points, labels, support, params.d_global, params.support_metric, edges)
         stitch = fit_stitch(emb, skel, params.lam, params.ridge_intercept)
     stitch = materialise(stitch, "stitch")
     mu = {r["cluster"]: np.array(r["mu"]) for r in centers(apply_stitch(emb, stitch)).collect()}
     maps = {r["cluster"]: (np.array(r["R"], float), np.array(r["t"], float)) for r in stitch.collect()}
-    manifolds = []
-    for c, own, xs, y, g, value, vector in parts:
-        spread = float(np.quantile(nearest(xs, xs, own, 1, own)[1], 0.95)) if len(own) > 1 else 1.0
-        manifolds.append(Manifold(c, own, xs, y, g, value, vector, *maps[c], mu[c], y.mean(0), spread or 1.0))
+    manifolds = [Manifold(p.cluster, p.ids, p.x, p.y, p.g, p.value, p.vector, *maps[p.cluster], mu[p.cluster], p.y.mean(0), p.spread or 1.0) for p in parts]
     return Model(manifolds, asdict(params))
 
 
-def _learn(spark: SparkSession, points: DataFrame, labels: DataFrame, c: int, ids: np.ndarray, x: np.ndarray, params: EmbedParams):
-    """(y, g, values, vectors) of one cluster; beyond LOCAL_ROWS, or with landmarks, paths and factorisation are distributed."""
-    n, d = len(ids), params.d
-    if n <= LOCAL_ROWS and not params.landmarks:
-        own = points.join(labels.where(F.col("cluster") == c), "id", "left_semi")
-        edges = bridge_components(symmetrize(knn(own, min(params.n_neighbors, max(1, n - 1)))), own) if n > 1 else None
-        g = _dense(geodesics(edges, ids), ids) if n > 1 else np.zeros((1, 1))
-        from tangentia.functions.numeric import centred_gram
+@dataclass
+class Learnt:
+    """One cluster after the exact phase, in its own coordinates."""
+
+    cluster: int
+    ids: np.ndarray
+    x: np.ndarray
+    y: np.ndarray
+    g: np.ndarray
+    value: np.ndarray
+    vector: np.ndarray
+    spread: float
+
+
+def cluster_arcs(points: DataFrame, labels: DataFrame, k: int) -> DataFrame:
+    """(cluster, src, dst, dist): the neighbour graph within each cluster, its parts bridged; a task for each cluster."""
+    ship_package(points.sparkSession)
+
+    def solve(f: pd.DataFrame) -> pd.DataFrame:
+        f = f.sort_values("id")
+        ids = f["id"].to_numpy()
+        a, b, w = local_arcs(ids, np.stack(f["x"].to_numpy()), k)
+        return pd.DataFrame({"cluster": np.int32(f["cluster"].iloc[0]), "src": ids[a], "dst": ids[b], "dist": w})
+
+    return points.select("id", "x").join(labels, "id").groupBy("cluster").applyInPandas(solve, "cluster int, src long, dst long, dist double")
+
+
+def cluster_geodesics(points: DataFrame, labels: DataFrame, arcs: DataFrame, landmarks: int | None = None, seed: int = 0) -> DataFrame:
+    """(cluster, src, g): path lengths within its cluster from each source to the cluster's points, in the order of their ids.
 
-        value, vector = top_eigen(centred_gram(g), d or 10)
-        if d is None:
+    Sources, all points or ``landmarks`` of each cluster, are dealt to tasks whatever their cluster; graphs, as many arcs as
+    the batch has neighbours, are broadcast.
+    """
+    spark = points.sparkSession
+    ship_package(spark)
+    own = labels.join(points.select("id"), "id", "left_semi").toPandas().sort_values("id")
+    e = arcs.limit(MAX_ARCS + 1).toPandas()
+    if len(e) > MAX_ARCS:
+        raise ValueError(f"more than {MAX_ARCS} arcs in one batch's graphs")
+    graphs, sources = {}, []
+    by_cluster = dict(list(e.groupby("cluster")))
+    for c, f in own.groupby("cluster"):
+        ids = f["id"].to_numpy()
+        mine = by_cluster.get(c, e.iloc[:0])
+        graphs[int(c)] = (len(ids), *(np.searchsorted(ids, mine[k].to_numpy()) for k in ("src", "dst")), mine["dist"].to_numpy())
+        chosen = ids if landmarks is None else np.sort(np.random.default_rng(seed).permutation(ids)[:landmarks])
+        sources.append(pd.DataFrame({"cluster": np.int32(c), "src": chosen, "place": np.searchsorted(ids, chosen)}))
+    if not sources:
+        return spark.createDataFrame([], "cluster int, src long, g array<double>")
+    shared = spark.sparkContext.broadcast(graphs)
+    table = pd.concat(sources)
+    rows = table_frame(spark, table, "cluster int, src long, place long").repartition(max(1, -(-len(table) // SOURCES_PER_TASK)))
+
+    def run(frames):
+        for f in frames:
+            for c, part in f.groupby("cluster"):
+                for at in range(0, len(part), 64):
+                    some = part.iloc[at : at + 64]
+                    yield pd.DataFrame({"cluster": np.int32(c), "src": some["src"].to_numpy(), "g": list(shortest_paths(*shared.value[int(c)], some["place"].to_numpy()))})
+
+    return rows.mapInPandas(run, "cluster int, src long, g array<double>")
+
+
+def factors(geo: DataFrame, ids_of: dict[int, np.ndarray], d: int) -> dict[int, tuple[np.ndarray, np.ndarray]]:
+    """Cluster to (values, vectors) of the d leading pairs of its sources' own distances.
+
+    Clusters of up to LOCAL_ROWS sources are dense problems, a task for each; larger ones go by block power steps over distributed rows.
+    """
+
+    def solve(f: pd.DataFrame) -> pd.DataFrame:
+        f = f.sort_values("src")
+        at = np.searchsorted(ids_of[int(f["cluster"].iloc[0])], f["src"].to_numpy())
+        value, vector = top_eigen(centred_gram(np.stack(f["g"].to_numpy())[:, at]), d)
+        return pd.DataFrame({"cluster": [f["cluster"].iloc[0]], "value": [value], "vector": [vector.ravel()]})
+
+    counts = {r["cluster"]: r["count"] for r in geo.groupBy("cluster").count().collect()}
+    large = [c for c, n in counts.items() if n > LOCAL_ROWS]
+    small = geo.where(~F.col("cluster").isin(large)) if large else geo
+    out = {}
+    for r in small.groupBy("cluster").applyInPandas(solve, "cluster int, value array<double>, vector array<double>").collect():
+        value = np.array(r["value"])
+        out[r["cluster"]] = value, np.array(r["vector"]).reshape(-1, len(value)) if len(value) else np.zeros((counts[r["cluster"]], 0))
+    for c in large:
+        rows = geo.where(F.col("cluster") == c)
+        sources = sorted(r[0] for r in rows.select("src").collect())
+        places = np.searchsorted(ids_of[c], sources)
+        whole = len(places) == len(ids_of[c])
+        own = rows if whole else rows.select("src", F.transform(F.array(*[F.lit(int(k)) for k in places]), lambda k: F.get("g", k)).alias("g"))
+        out[c] = eig_top(gram_rows(own.select("src", "g")), d, "subspace")[1:]
+    return out
+
+
+def _learn(points: DataFrame, labels: DataFrame, params: EmbedParams) -> list[Learnt]:
+    """Every cluster's coordinates, stored path lengths and factorisation, ascending by cluster."""
+    arcs = materialise(cluster_arcs(points, labels, params.n_neighbors), "arcs")
+    geo = materialise(cluster_geodesics(points, labels, arcs, params.landmarks, params.seed), "paths")
+    ids, x = collect_points(points)
+    if not len(ids):
+        return []
+    table = labels.join(points.select("id"), "id", "left_semi").toPandas().sort_values("id")
+    cluster = table["cluster"].to_numpy()
+    ids_of = {int(c): ids[cluster == c] for c in np.unique(cluster)}
+    found = factors(geo, ids_of, params.d or 10)
+    stored: dict[int, list] = {}
+    for c, src, g in geo.toLocalIterator():
+        stored.setdefault(c, []).append((src, np.array(g)))
+    out = []
+    for c, own in ids_of.items():
+        rows = sorted(stored[c], key=lambda r: r[0])
+        g, at = np.stack([r[1] for r in rows]), np.searchsorted(own, [r[0] for r in rows])
+        value, vector = found[c]
+        if params.d is None:
             keep = max(1, dim_from_spectrum(value))
             value, vector = value[:keep], vector[:, :keep]
-        y = vector * np.sqrt(value)
-        if y.shape[1] == 0:
-            y, value, vector = np.zeros((n, d or 1)), np.ones(d or 1), np.zeros((n, d or 1))
-        return y, g, value, vector
-    own = points.join(labels.where(F.col("cluster") == c), "id", "left_semi")
-    edges = materialise(bridge_components(symmetrize(knn(own, params.n_neighbors)), own), "arcs")
-    count = min(n, params.landmarks or LOCAL_ROWS)
-    chosen = np.sort(np.random.default_rng(params.seed).permutation(ids)[:count])
-    g = _dense(geodesics(edges, ids, chosen), chosen)
-    # the landmarks' own distances are factorised; all points are placed by triangulation against them
-    at = np.searchsorted(ids, chosen)
-    rows = table_frame(spark, pd.DataFrame({"src": chosen, "g": list(g[:, at])}), "src long, g array<double>")
-    _, value, vector = eig_top(gram_rows(rows), d or 10, "local" if count <= LOCAL_ROWS else "subspace")
-    if d is None:
-        keep = max(1, dim_from_spectrum(value))
-        value, vector = value[:keep], vector[:, :keep]
-    y = 0.5 * ((g[:, at] ** 2).mean(1)[:, None] - g**2).T @ (vector / np.sqrt(value))
-    return y - y.mean(0), g, value, vector
-
-
-def _dense(geo: DataFrame, ids: np.ndarray) -> np.ndarray:
-    t = geo.toArrow()
-    g = np.asarray(t["g"].combine_chunks().flatten(), float).reshape(len(t), -1)
-    return g[np.argsort(np.asarray(t["src"], np.int64))]
+        if not len(value):
+            value, vector = np.ones(params.d or 1), np.zeros((len(at), params.d or 1))
+        if len(at) == len(own):
+            y = vector * np.sqrt(value)
+        else:  # all points are placed by triangulation against the landmarks
+            y = 0.5 * ((g[:, at] ** 2).mean(1)[:, None] - g**2).T @ (vector / np.sqrt(value))
+            y = y - y.mean(0)
+        xs = x[cluster == c]
+        near = np.concatenate([nearest(xs[k : k + 1024], xs, own, 1, own[k : k + 1024])[1] for k in range(0, len(own), 1024)]) if len(own) > 1 else None
+        out.append(Learnt(c, own, xs, y, g, value, vector, float(np.quantile(near, 0.95)) if near is not None else 1.0))
+    return out
 
 
 def transform(stream: DataFrame, model: Model, select: str = "center", select_space: str = "global", mapper: str = "geodesic", keep: tuple[str, ...] = ()) -> DataFrame:
-    """The stream phase, batch or streaming: see map_points."""
+    """The stream phase, batch or streaming: see map_points. A row that can't be mapped comes out with nulls."""
     return map_points(stream, model, model.params["n_neighbors"], select, select_space, mapper, keep)
 
 

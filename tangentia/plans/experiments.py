@@ -27,7 +27,7 @@ from tangentia.sources.tables import split_batch_stream, stream_table
 from tangentia.streaming.engine import quality_windows, switch_when_stable, transform_stream
 
 BATCH = 2_000  # as in the published stream experiments
-PARAMS = EmbedParams(min_size=100)
+PARAMS = EmbedParams()
 _queries: dict = {}
 
 
@@ -41,7 +41,13 @@ def queries() -> dict:
 
 
 def batch_and_stream(spark: SparkSession, sf_dir: str, name: str, n: int = BATCH) -> tuple[DataFrame, DataFrame]:
-    return split_batch_stream(W.scene(spark, sf_dir, name), n)
+    """The first n rows by id and the rest; of a table with fewer than twice as many, six tenths are the batch, so that a stream is left."""
+    return with_a_stream(W.scene(spark, sf_dir, name), n)
+
+
+def with_a_stream(points: DataFrame, n: int = BATCH) -> tuple[DataFrame, DataFrame]:
+    there = points.count()
+    return split_batch_stream(points, n if there >= 2 * n else there * 6 // 10)
 
 
 def true_labels(points: DataFrame) -> DataFrame:

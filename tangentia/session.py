@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
+import atexit
 import hashlib
 import os
+import shutil
 import tempfile
 import uuid
 import zipfile
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 PACKAGE = Path(__file__).resolve().parent
 
@@ -45,11 +48,14 @@ def ship_package(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or one of our own where it is unset (tests)."""
+    """The folder all executors share: spark.checkpoint.dir. Only a local session, whose executors are this machine, gets one of our own where it is unset."""
     sc = spark.sparkContext
     folder = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if not folder:
+        if not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         folder = tempfile.mkdtemp(prefix="tangentia-checkpoint")
+        atexit.register(shutil.rmtree, folder, True)
         sc.setCheckpointDir(folder)
     return folder.rstrip("/")
 
@@ -58,6 +64,11 @@ def scratch_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/tangentia/{name}-{uuid.uuid4().hex}"
 
 
+def broadcast_if_small(df: DataFrame, rows: int = 100_000) -> DataFrame:
+    """``df`` with a broadcast hint if it is counted to have at most ``rows`` rows, else as it is: joins then shuffle."""
+    return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
+
+
 def table_frame(spark: SparkSession, frame, schema: str) -> DataFrame:
     """A pandas frame, with numpy arrays in cells, as a DataFrame (by Arrow, whatever the session's settings)."""
     import pyarrow as pa
