@@ -7,12 +7,15 @@ import time
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tangentia.operators.cluster import kmeans_cluster, knn_components, tangent_cluster
+from tangentia.operators.cluster import dense_labels, edge_filter, kmeans_cluster, knn_components, merge_by_continuity, merge_clusters, scaled_planes, scored_edges
+from tangentia.operators.graph import batch_labels, seed_order
 from tangentia.operators.mapper import Model
+from tangentia.operators.metrics import clustering_report, matched_accuracy, table_of
+from tangentia.operators.neighbors import knn
 from tangentia.operators.spectral import spectral_embed
 from tangentia.operators.stitch import apply_stitch, fit_stitch, identity_stitch, skeleton, support_set
 from tangentia.plans.engine import EmbedParams, embed_clusters, fit, transform
-from tangentia.session import materialise
+from tangentia.session import broadcast_if_small, materialise
 
 
 def baseline_ge(points: DataFrame, k: int, d: int) -> DataFrame:
@@ -42,7 +45,7 @@ def baseline_sep(points: DataFrame, k: int, d: int, k_near: int = 16, l_far: int
         return apply_stitch(emb, identity_stitch(emb)).select("id", "cluster", F.col("z").alias("y"))
     if normalize_local:
         size = emb.groupBy("cluster").agg(F.sqrt(F.avg(F.aggregate("y", F.lit(0.0), lambda s, v: s + v * v))).alias("s"))
-        emb = emb.join(F.broadcast(size), "cluster").select("id", "cluster", F.transform("y", lambda v: v / F.greatest(F.col("s"), F.lit(1e-12))).alias("y"))
+        emb = emb.join(broadcast_if_small(size), "cluster").select("id", "cluster", F.transform("y", lambda v: v / F.greatest(F.col("s"), F.lit(1e-12))).alias("y"))
     emb = materialise(emb, "embedding")
     support = materialise(support_set(points, labels, k_near, l_far), "support")
     maps = fit_stitch(emb, skeleton(points, labels, support, d), lam)
@@ -66,46 +69,30 @@ def baseline_pca(points: DataFrame, d: int) -> DataFrame:
     return PCA(k=d, inputCol="c", outputCol="y").fit(v).transform(v).select("id", vector_to_array("y").alias("y"))
 
 
-def baseline_kmeans(points: DataFrame, p: int, seed: int = 0) -> DataFrame:
-    return kmeans_cluster(points, p, seed)
+def accuracy_table(points: DataFrame, modes: tuple[str, ...] = ("l1", "l2", "det", "vol", "projection"), eps: tuple[float, ...] = (0.8, 0.9, 0.95), n_tangents: tuple[int, ...] = (2, 3), n_neighbors: int = 8, min_size: int = 50, cap: int = 2) -> DataFrame:
+    """(method, n_tangent, eps, balanced, plain, purity, clusters, found, found_clusters, capped) of every setting, and of the clusterers without planes.
 
-
-def baseline_det(points: DataFrame, eps: float = 0.9, **options) -> DataFrame:
-    """Tangent clustering with the determinant's angle in place of the mean cosine."""
-    return tangent_cluster(points, eps, mode="det", **options)
-
-
-def baseline_local(points: DataFrame, k: int, d: int, feature: str) -> DataFrame:
-    """local_linear or laplacian."""
-    return spectral_embed(points, k, d, feature)
-
-
-def accuracy_table(points: DataFrame, modes: tuple[str, ...] = ("l1", "l2", "det", "vol", "projection"), eps: tuple[float, ...] = (0.9,), n_tangents: tuple[int, ...] = (2, 3), n_neighbors: int = 8, svd_neighbors: int = 20, merge: int | None = 50, cap: int = 2) -> DataFrame:
-    """(mode, n_tangent, eps, balanced, plain, purity, clusters, to_cap_votes, to_cap_gap) of every setting; neighbours and planes are made once.
-
-    to_cap: balanced accuracy when clusters are merged on, by either affinity, until ``cap`` of them are left.
-
-    Reported as it comes: the setting that is best by the true labels is not chosen here.
+    balanced to clusters: of the clusters as they are grown. found: balanced accuracy after merging by continuity, of as many clusters
+    as are then found; capped: when those are merged on by votes until ``cap`` are left. Reported as it comes: the setting
+    that is best by the true labels is not chosen here. Neighbours and planes are made once.
     """
-    from tangentia.operators.cluster import dense_labels, edge_filter, gap_threshold, merge_clusters, scored_edges
-    from tangentia.operators.graph import batch_labels, seed_order
-    from tangentia.operators.metrics import clustering_report, matched_accuracy, table_of
-    from tangentia.operators.neighbors import knn
-    from tangentia.operators.tangent import tangent_planes
-
     spark, rows = points.sparkSession, []
+    points = materialise(points, "scene")
     edges = materialise(knn(points, n_neighbors), "knn")
+    planes, dim = scaled_planes(points, edges, max(n_tangents), least=n_neighbors)
+    accuracy = lambda labels: matched_accuracy(table_of(labels, points))
     for n_tangent in n_tangents:
-        planes = materialise(tangent_planes(points, svd_neighbors, None, n_tangent), "planes")
         for mode in modes:
-            scored = materialise(scored_edges(edges, planes, mode, n_tangent), "scored")
+            scored = materialise(scored_edges(edges, planes.withColumn("basis", F.slice("basis", 1, n_tangent)), mode, n_tangent), "scored")
             for e in eps:
-                arcs = edge_filter(scored, gap_threshold(scored) if e is None else e)
-                labels = materialise(dense_labels(batch_labels(arcs, seed_order(points))), "labels")
-                if merge:
-                    labels = merge_clusters(labels, edges, None, merge)
+                labels = materialise(dense_labels(batch_labels(edge_filter(scored, e), seed_order(points))), "labels")
                 r = clustering_report(labels, points)
-                capped = [matched_accuracy(table_of(merge_clusters(labels, edges, None, 1, cap, a), points)) for a in ("votes", "gap")]
-                rows.append((mode, n_tangent, e, r["balanced"], r["plain"], r["purity"], int(r["clusters"]), *capped))
-    return spark.createDataFrame([tuple(x.item() if hasattr(x, "item") else x for x in r) for r in rows], "mode string, n_tangent int, eps double, balanced double, plain double, purity double, clusters int, to_cap_votes double, to_cap_gap double")
-
+                merged = merge_by_continuity(points, labels, planes, dim, e)
+                merged = materialise(merge_clusters(merged, edges, None, min_size), "merged")
+                t = table_of(merged, points)
+                rows.append((mode, n_tangent, e, r["balanced"], r["plain"], r["purity"], int(r["clusters"]), matched_accuracy(t), len(t), accuracy(merge_clusters(merged, edges, None, 1, cap))))
+    for name, labels in (("connectivity", knn_components(points, n_neighbors)), ("kmeans", kmeans_cluster(points, cap))):
+        r = clustering_report(labels, points)
+        rows.append((name, 0, 0.0, r["balanced"], r["plain"], r["purity"], int(r["clusters"]), r["balanced"], int(r["clusters"]), r["balanced"]))
+    plain = [tuple(x.item() if hasattr(x, "item") else x for x in r) for r in rows]
+    return spark.createDataFrame(plain, "method string, n_tangent int, eps double, balanced double, plain double, purity double, clusters int, found double, found_clusters int, capped double")

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tangentia.functions.vectors import vec_dist, vec_dist2
-from tangentia.session import ship_package
+from tangentia.session import broadcast_if_small, ship_package
 
 EXACT_MATCHING = 8  # classes up to which all one-to-one matchings are tried
 
@@ -143,7 +143,7 @@ def mean_vector(df: DataFrame, by: str, y: str = "y") -> DataFrame:
 
 def tightness(emb: DataFrame, by: str = "cluster") -> DataFrame:
     """(by, tightness, n): mean squared distance to the group's mean."""
-    return emb.join(F.broadcast(mean_vector(emb, by)), by).groupBy(by).agg(F.avg(vec_dist2("y", "mu")).alias("tightness"), F.count(F.lit(1)).alias("n"))
+    return emb.join(broadcast_if_small(mean_vector(emb, by)), by).groupBy(by).agg(F.avg(vec_dist2("y", "mu")).alias("tightness"), F.count(F.lit(1)).alias("n"))
 
 
 def silhouette(emb: DataFrame, by: str = "cluster") -> float:
@@ -165,7 +165,7 @@ def shortcut_rate(edges: DataFrame, truth: DataFrame, factor: float = 4.0) -> Da
 
 def shape_stats(emb: DataFrame, by: str = "cluster") -> DataFrame:
     """(by, n, spread_0, spread_1, ratio, radius) of each group: standard deviations along the first two axes, their ratio, mean distance to the mean."""
-    j = emb.join(F.broadcast(mean_vector(emb, by)), by)
+    j = emb.join(broadcast_if_small(mean_vector(emb, by)), by)
     s = j.groupBy(by).agg(F.count(F.lit(1)).alias("n"), F.stddev_pop(F.col("y")[0]).alias("spread_0"), F.stddev_pop(F.col("y")[1]).alias("spread_1"), F.avg(vec_dist("y", "mu")).alias("radius"))
     return s.withColumn("ratio", F.least("spread_0", "spread_1") / F.greatest("spread_0", "spread_1"))
 
@@ -178,17 +178,19 @@ def separation(emb: DataFrame, by: str = "cluster") -> DataFrame:
     return gap.join(s).select((F.col("gap") / F.col("r")).alias("separation"))
 
 
-def cost_counters(n_batch: int, n_stream: int, sizes: list[int], k: int, dim: int, k_near: int, l_far: int) -> dict[str, int]:
-    """How many elementary steps each phase takes, from the sizes alone."""
-    p = len(sizes)
+def cost_counters(model, n_stream: int, arcs: int, support_pairs: int) -> dict[str, int]:
+    """How many elementary steps each phase of a fitted model takes, from the clusters it found, its stored sources and its arcs."""
+    sizes, sources = [len(f.ids) for f in model.manifolds], [len(f.g) for f in model.manifolds]
+    n, dim = sum(sizes), model.manifolds[0].x.shape[1] if model.manifolds else 0
     return {
-        "batch_distances": n_batch * n_batch,
-        "path_arcs": sum(n * n * k for n in sizes),
-        "factor_steps": sum(n**3 for n in sizes),
+        "batch_distances": n * n,
+        "arcs": arcs,
+        "path_arcs": sum(m * arcs * k // max(n, 1) for m, k in zip(sources, sizes, strict=True)),
+        "factor_steps": sum(m**3 for m in sources),
         "cross_distances": sum(a * b for i, a in enumerate(sizes) for b in sizes[i + 1 :]),
-        "support_pairs": (k_near + l_far) * p * (p - 1) // 2,
-        "stream_distances": n_stream * sum(sizes),
-        "stream_flops": n_stream * sum(n * (dim + k) for n in sizes),
+        "support_pairs": support_pairs,
+        "stream_distances": n_stream * n,
+        "stream_steps": n_stream * sum(a * dim + m * model.params["n_neighbors"] for a, m in zip(sizes, sources, strict=True)),
     }
 
 

@@ -16,7 +16,8 @@ from tangentia.operators import metrics as M
 from tangentia.operators import neighbors as N
 from tangentia.operators import spectral as S
 from tangentia.operators import stitch as K
-from tangentia.operators.cluster import dense_labels
+from tangentia.operators.cluster import dense_labels, scored_edges
+from tangentia.operators.cluster import edge_filter as keep_like
 from tangentia.operators.geodesic import geodesics_minplus
 from tangentia.operators.mapper import running_residual
 from tangentia.operators.tangent import local_moments, project_out
@@ -45,7 +46,9 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(_sql)
+    from tangentia.plans import experiments
+
+    return dict(_sql) | experiments.SQL
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -275,8 +278,11 @@ def similarity_vol_unequal(spark, sf_dir):
 
 @query(f"WITH {BASES} SELECT src, dst FROM t WHERE round(least((abs(t11) + abs(t22)) / 2, 1), 6) >= 0.1")
 def edge_filter(spark, sf_dir):
-    p = _similarity("l1")(spark, sf_dir)
-    return p.where("score >= 0.1").select("src", "dst")
+    """Scored arcs between the bases of neighbouring ids, through the operators."""
+    b = bases(spark, sf_dir)
+    arcs = b.select(F.col("id").alias("src"), (F.col("id") + 1).alias("dst"))
+    scored = scored_edges(arcs, b, "l1").withColumn("score", F.round("score", 6))
+    return keep_like(scored, 0.1).select("src", "dst")
 
 
 # ---- stitching and mapping
