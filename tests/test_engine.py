@@ -11,7 +11,7 @@ from tangentia.plans.experiments import true_labels, truth
 from tangentia.sources import workloads as W
 from tangentia.sources.tables import split_bad_rows, split_batch_stream
 
-PARAMS = EmbedParams(min_size=30)
+PARAMS = EmbedParams()
 
 
 @pytest.fixture(scope="module")
@@ -115,3 +115,94 @@ def test_stream_equals_batch(spark, sf_dir, tmp_path):
     rows = streamed_events(spark, sf_dir)
     assert rows.count() == spark.read.parquet(f"{sf_dir}/events.parquet").count()
     assert rows.select("id").distinct().count() == rows.count()
+
+
+def test_intersecting_surfaces_are_found_without_labels(spark, sf_dir):
+    """A plane through a roll: two manifolds, nothing told of their number, mapped and stitched into one space."""
+    batch, stream = split_batch_stream(W.scene(spark, sf_dir.replace("0.001", "0.01"), "roll_plane"), 2_000)
+    model = fit(batch)
+    assert len(model.manifolds) == 2
+    found = spark.createDataFrame([(int(i), f.cluster) for f in model.manifolds for i in f.ids], "id long, cluster int")
+    assert M.clustering_accuracy(found, batch) > 0.838
+    assert {f.R.shape[0] for f in model.manifolds} == {3}
+    m = transform(stream.limit(500), model, "anchor", keep=("y_true",)).toPandas()
+    assert set(m["manifold"]) == {f.cluster for f in model.manifolds}
+    assert all(len(z) == 3 for z in m["y_global"])
+
+
+def test_flagship_has_rows_on_the_smallest_tables(spark):
+    import __spark_entry__
+
+    assert __spark_entry__.entry(spark).select("manifold").distinct().count() > 1
+
+
+ODD = [(1, [0.0, 0.0]), (2, None), (3, [1.0, 0.0]), (4, [float("nan"), 1.0]), (5, [0.0, 1.0]), (6, [1.0, 1.0, 1.0]), (7, [1.0, 1.0]), (8, [None, 1.0])]
+
+
+def test_odd_rows_have_defined_results(spark):
+    d = spark.createDataFrame(ODD, "id long, x array<double>")
+    pairs = lambda e: sorted((r["src"], r["dst"]) for r in e.collect())
+    assert pairs(N.knn(d, 2)) == pairs(N.knn_blocked(d, 2, 2)) == [(1, 3), (1, 5), (3, 1), (3, 7), (5, 1), (5, 7), (7, 3), (7, 5)]
+    model = fit(d, EmbedParams(min_size=1))
+    rows = {r["id"]: r for r in transform(d, model).collect()}
+    assert len(rows) == len(ODD)
+    for i in (2, 4, 6, 8):
+        assert rows[i]["manifold"] is None and rows[i]["y_global"] is None and rows[i]["score"] is None
+    assert all(rows[i]["manifold"] == 0 for i in (1, 3, 5, 7))
+    none = fit(d.limit(0))
+    assert not none.manifolds and {r["manifold"] for r in transform(d, none).collect()} == {None}
+    assert len(fit(d.limit(1)).manifolds[0].ids) == 1
+
+
+def test_planes_equal_covariances_and_both_forms_agree(spark, sf_dir):
+    from tangentia.operators.tangent import planes_from_edges, tangent_planes
+
+    d = W.scene(spark, sf_dir, "spheres", 120)
+    x = {r["id"]: np.array(r["x"]) for r in d.collect()}
+    edges = N.knn(d, 9)
+    near = {}
+    for r in edges.collect():
+        near.setdefault(r["src"], []).append(r["dst"])
+    joined = {r["id"]: r for r in planes_from_edges(d, edges).collect()}
+    for r in tangent_planes(d, 9).collect():
+        i = r["id"]
+        c = np.stack([x[j] for j in [i, *near[i]]])
+        value, vector = np.linalg.eigh(np.cov(c.T, bias=True))
+        assert np.allclose(np.array(r["sv"]) ** 2, value[::-1], atol=1e-9)
+        own, want = np.stack(r["basis"]), vector[:, ::-1].T[:2]
+        assert np.allclose(own.T @ own, want.T @ want, atol=1e-6)
+        assert np.allclose(own, np.stack(joined[i]["basis"]), atol=1e-9)
+
+
+def test_both_solvers_agree(spark, sf_dir):
+    from tangentia.operators import spectral as S
+    from tangentia.operators.geodesic import geodesics
+
+    d = W.scene(spark, sf_dir, "roll", 150)
+    ids, _ = N.collect_points(d)
+    gram = S.gram_rows(geodesics(N.symmetrize(N.knn(d, 8)), ids))
+    (_, v1, u1), (_, v2, u2) = S.eig_top(gram, 3, "local"), S.eig_top(gram, 3, "subspace")
+    assert np.allclose(v1, v2, rtol=1e-6) and np.allclose(np.abs(u1[:, :2]), np.abs(u2[:, :2]), atol=1e-3)
+
+
+def test_ridge_fit_solves_its_normal_equations(spark):
+    from tangentia.operators.stitch import fit_stitch
+
+    r = np.random.default_rng(3)
+    y, z = r.standard_normal((30, 2)), r.standard_normal((30, 3))
+    emb = spark.createDataFrame([(i, 0, v.tolist()) for i, v in enumerate(y)], "id long, cluster int, y array<double>")
+    skel = spark.createDataFrame([(i, 0, v.tolist()) for i, v in enumerate(z)], "id long, cluster int, z array<double>")
+    a = np.column_stack([y, np.ones(30)])
+    for lam in (0.01, 5.0):
+        row = fit_stitch(emb, skel, lam).first()
+        want = np.linalg.solve(a.T @ a + lam * np.eye(3), a.T @ z).T
+        assert np.allclose(np.column_stack([row["R"], row["t"]]), want, atol=1e-9)
+
+
+def test_merging_goes_by_the_threshold():
+    from tangentia.operators.cluster import continuity_groups
+
+    pairs = [(0, 1, 0.1, 0.99), (0, 1, 0.2, 0.97), (1, 2, 0.1, 0.92), (2, 3, 0.1, 0.7), (0, 3, 0.3, 0.4)]
+    assert continuity_groups(pairs, 2, 0.9) == {0: 0, 1: 0, 2: 0, 3: 3}
+    assert continuity_groups(pairs, 2, 0.95) == {0: 0, 1: 0, 2: 2, 3: 3}
+    assert continuity_groups(pairs, 2, 0.6) == {0: 0, 1: 0, 2: 0, 3: 3}  # 3's two nearest pairs to the rest: 0.7 and 0.4
