@@ -9,7 +9,7 @@ SLOW = {"double_center", "directed_min_label"}
 
 @pytest.mark.parametrize("name", [n for n in SQL if n not in SLOW])
 def test_query_equals_its_sql(spark, sf_dir, name):
-    ours, theirs = both(spark, sf_dir, catalogue._queries[name], catalogue.oracle_sql()[name])
+    ours, theirs = both(spark, sf_dir, catalogue.queries()[name], catalogue.oracle_sql()[name])
     assert ours == theirs
 
 
