@@ -105,14 +105,17 @@ def classical_mds(dist: DataFrame, d: int) -> DataFrame:
 
 
 def dim_from_spectrum(values: np.ndarray, rule: str = "gap", share: float = 0.95) -> int:
-    """The dimension that the leading eigenvalues tell: the widest fall between neighbours, or the share of their sum."""
+    """The dimension that the leading eigenvalues tell: the largest ratio between neighbours (values below a millionth of the first count as that), or the share of their sum.
+
+    A ratio, since on a long and narrow surface the first value exceeds the second by more than the second exceeds noise.
+    """
     v = np.maximum(np.asarray(values, float), 0)
     if len(v) < 2 or v.sum() == 0:
         return len(v)
     if rule == "share":
         return int(np.searchsorted(np.cumsum(v) / v.sum(), share) + 1)
-    root = np.sqrt(v)
-    return int((root[:-1] - root[1:]).argmax() + 1)
+    v = np.maximum(v, 1e-6 * v[0])
+    return int((v[:-1] / v[1:]).argmax() + 1)
 
 
 def spectral_embed(points: DataFrame, k: int, d: int, feature: str = "geodesic", graph: str = "union", solver: str = "local") -> DataFrame:

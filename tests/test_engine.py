@@ -49,6 +49,17 @@ def test_neighbour_forms_agree(spark, sf_dir):
     assert all(s != t for s, t, _ in exact) and len(exact) == 5 * d.count()
 
 
+def test_hashed_neighbours_are_near_all_true_and_never_wrong(spark, sf_dir):
+    d = W.scene(spark, sf_dir, "roll")
+    exact = {(r.src, r.dst): r.dist for r in N.knn(d, 8).collect()}
+    hashed = {(r.src, r.dst): r.dist for r in N.knn_lsh(d, 8, max(exact.values()), 0.3).collect()}
+    assert len(exact.keys() & hashed.keys()) >= 0.95 * len(exact)
+    assert all(abs(hashed[p] - exact[p]) < 1e-6 for p in exact.keys() & hashed.keys())
+    odd = spark.createDataFrame([(1, [0.0, 0.0]), (2, None), (3, [0.0, 0.0]), (3, [0.0, 0.0]), (4, [9.0, 9.0])], "id long, x array<double>")
+    assert sorted((r.src, r.dst) for r in N.knn_lsh(odd, 3, 1.0, 0.5).collect()) == [(1, 3), (3, 1)]
+    assert N.knn_lsh(odd.limit(0), 3, 1.0, 0.5).count() == 0
+
+
 def test_fewer_points_than_neighbours(spark):
     d = spark.createDataFrame([(1, [0.0, 0.0]), (2, [0.0, 0.0]), (3, [1.0, 0.0])], "id long, x array<double>")
     assert N.knn(d, 8).count() == 6

@@ -40,6 +40,15 @@ def test_scaling_recovers_a_plane():
     assert X.procrustes(x, X.classical_scaling(g, 2)) < 1e-12
 
 
+def test_dimension_of_a_long_and_narrow_surface():
+    from tangentia.operators.spectral import dim_from_spectrum
+
+    assert dim_from_spectrum(np.array([6255.0, 1642.0, 45.0, 40.0])) == 2
+    assert dim_from_spectrum(np.array([9.0, 0.0, 0.0])) == 1
+    assert dim_from_spectrum(np.array([5.0, 4.0, 3.0, 0.0, 0.0])) == 3
+    assert dim_from_spectrum(np.array([])) == 0
+
+
 def test_procrustes_is_blind_to_shift_turn_and_scale():
     x = np.random.default_rng(1).standard_normal((50, 3))
     assert X.procrustes(x, 3 * x @ X.rotation(2, 3, 3).T + 5) < 1e-12
