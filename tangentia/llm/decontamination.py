@@ -187,7 +187,9 @@ def block_frequencies(docs: DataFrame, items: Items) -> tuple[np.ndarray, int]:
 
     out = np.zeros(len(items.terms), np.int64)
     n_blocks = 0
-    for term, n in docs.select("text").mapInArrow(count, "term long, n long").groupBy("term").agg(F.sum("n")).collect():
+    counted = docs.select("text").mapInArrow(count, "term long, n long").groupBy("term").agg(F.sum("n")).collect()
+    shared.destroy()
+    for term, n in counted:
         if term < 0:
             n_blocks = n
         else:
@@ -232,6 +234,7 @@ def sketch_gram(docs: DataFrame, items: Items) -> np.ndarray:
 
     parts = docs.select("text").mapInArrow(part, "chunk int, z binary")
     summed = parts.repartition("chunk").mapInArrow(add, "chunk int, z binary").collect()
+    shared.destroy()
     z = np.zeros((len(items.terms), wide))
     for k, data in summed:
         rows = np.frombuffer(data, np.float32).reshape(-1, wide)
@@ -256,6 +259,7 @@ def fit_items(docs: DataFrame, items: Items) -> Items:
     items.project = (left / size * items.idf[:, None]).astype(np.float32)
     vectors = np.stack([items.project[items.columns(items.words[q][a:b])].sum(0) for q, a, b in items.cuts])
     items.vectors = (vectors / (np.linalg.norm(vectors, axis=1, keepdims=True) + 1e-12)).astype(np.float32)
+    textkit.tidy()
     return items
 
 
