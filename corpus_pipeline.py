@@ -15,26 +15,31 @@ from tangentia.llm.mixing import curriculum
 from tangentia.llm.pii import sanitise
 from tangentia.llm.setsketch import keep_one_of_each
 from tangentia.llm.toxicity import drop_toxic
-from tangentia.session import materialise
+from tangentia.session import free_driver, materialise
 
 
 def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    free_driver(spark)
     return drop_toxic(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    free_driver(spark)
     return keep_one_of_each(docs, width=5, threshold=0.8)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    free_driver(spark)
     return drop_leaks(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    free_driver(spark)
     return sanitise(docs)
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    free_driver(spark)
     return curriculum(docs)
 
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import hashlib
 import os
 import shutil
@@ -76,6 +77,12 @@ def table_frame(spark: SparkSession, frame, schema: str) -> DataFrame:
     return spark.createDataFrame(pa.Table.from_pandas(frame, preserve_index=False), schema)
 
 
+def free_driver(spark: SparkSession) -> None:
+    """Collect the driver's garbage, Python's first, whose references hold the JVM's: what earlier plans left goes, broadcasts and shuffle files on executors too, and the heap shrinks."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def materialise(df: DataFrame, name: str) -> DataFrame:
     """Write a table to the shared folder and read it back: lineage is cut, and a lost executor costs no recompute."""
     spark = df.sparkSession
