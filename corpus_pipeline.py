@@ -19,26 +19,31 @@ from tangentia.session import free_driver, materialise
 
 
 def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents whose text scores below 0.5; null and empty texts score as texts without words, repeated rows each by their own text."""
     free_driver(spark)
     return drop_toxic(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One row of each group of near copies (five words, 0.8), that of the least doc_id; null and empty texts stay, of a repeated doc_id one row stays."""
     free_driver(spark)
     return keep_one_of_each(docs, width=5, threshold=0.8)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold no benchmark item; null and empty texts hold none, and without items all stay."""
     free_driver(spark)
     return drop_leaks(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All rows, with personal data and terms that disclose it replaced in the text; null texts stay null."""
     free_driver(spark)
     return sanitise(docs)
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """A row for each pass over a document, in order of position; texts without words, null ones too, have none; a null source is a source of its own, the last."""
     free_driver(spark)
     return curriculum(docs)
 
