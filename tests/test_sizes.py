@@ -2,7 +2,11 @@
 
 import math
 
+import numpy as np
+
+from tangentia.functions import numeric as X
 from tangentia.functions.vectors import vec_round
+from tangentia.operators import neighbors as N
 from tangentia.plans import catalogue
 
 
@@ -13,3 +17,49 @@ def test_rounding_keeps_the_sign_of_zero_as_sql_does(spark, sf_dir):
     assert r["x"][4] == -2e-6 and r["x"][5] is None and math.isnan(r["x"][6])
     scalars = spark.createDataFrame([(-1e-9,), (1e-9,)], "v double").select(*catalogue.r6("v")).collect()
     assert [math.copysign(1, x["v"]) for x in scalars] == [-1, 1]
+
+
+def brute(ids, x, k):
+    out = []
+    for i, q in zip(ids, x):
+        d = np.sqrt(((x - q) ** 2).sum(1))
+        d[ids == i] = np.inf
+        out += [(int(i), int(ids[j]), r) for r, j in enumerate(np.lexsort((ids, np.round(d, 12)))[:k], 1)]
+    return sorted(out)
+
+
+def test_nearest_holds_few_distances_and_takes_the_first_of_many_copies():
+    r = np.random.default_rng(0)
+    x = r.standard_normal((900, 5))
+    x = np.concatenate([x, x[:300], np.repeat(x[:1], 40, 0)])
+    ids = r.permutation(len(x))
+    held, X.CELLS, X.COLUMNS = (X.CELLS, X.COLUMNS), 2_000, 100
+    try:
+        places, _ = X.nearest(x, x, ids, 6, ids)
+    finally:
+        X.CELLS, X.COLUMNS = held
+    assert sorted((int(i), int(ids[p]), r) for i, row in zip(ids, places) for r, p in enumerate(row, 1)) == brute(ids, x, 6)
+
+
+def test_blocks_give_each_point_few_visits_and_exact_neighbours(spark):
+    r = np.random.default_rng(1)
+    x = r.random((1_500, 2)).round(2)
+    x[:60] = x[0]
+    points = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, x array<double>")
+    got = sorted((e.src, e.dst, e.rk) for e in N.knn_blocked(points, 5, 9).collect())
+    assert got == brute(np.arange(1_500), x, 5)
+    p, lower, upper = N.dealt(points, 9)
+    sizes = [v["count"] for v in p.groupBy("block").count().collect()]
+    assert sum(sizes) == 1_500 and len(sizes) == len(lower) == 9
+    near = sorted((e.src, e.dst) for e in N.radius_neighbors(points, 0.03).collect())
+    d = np.sqrt(((x[:, None] - x) ** 2).sum(2))
+    assert near == [(int(i), int(j)) for i, j in zip(*np.nonzero(d <= 0.03)) if i != j]
+
+
+def test_many_points_are_not_paired_one_by_one(spark, monkeypatch):
+    points = spark.createDataFrame([(i, [float(i), 0.0]) for i in range(60)], "id long, x array<double>")
+    pairs = lambda e: sorted((r.src, r.dst, r.rk) for r in e.collect())
+    small = pairs(N.knn_exact(points, 3))
+    monkeypatch.setattr(N, "EXPRESSION_ROWS", 50)
+    e = N.knn_exact(points, 3)
+    assert "NestedLoop" not in e._jdf.queryExecution().toString() and pairs(e) == small
