@@ -6,8 +6,13 @@ import numpy as np
 
 from tangentia.functions import numeric as X
 from tangentia.functions.vectors import vec_round
+from tangentia.operators import metrics as M
 from tangentia.operators import neighbors as N
+from tangentia.operators import spectral as S
+from tangentia.operators import stitch as K
+from tangentia.operators import tangent as P
 from tangentia.plans import catalogue
+from tangentia.sources import workloads as W
 
 
 def test_rounding_keeps_the_sign_of_zero_as_sql_does(spark, sf_dir):
@@ -63,3 +68,49 @@ def test_many_points_are_not_paired_one_by_one(spark, monkeypatch):
     monkeypatch.setattr(N, "EXPRESSION_ROWS", 50)
     e = N.knn_exact(points, 3)
     assert "NestedLoop" not in e._jdf.queryExecution().toString() and pairs(e) == small
+
+
+def test_support_pairs_of_several_pieces_equal_brute_force(spark, monkeypatch):
+    r = np.random.default_rng(2)
+    x, c = r.random((300, 3)).round(1), r.integers(0, 3, 300)
+    points = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, x array<double>")
+    labels = spark.createDataFrame([(i, int(v)) for i, v in enumerate(c)], "id long, cluster int")
+    for module in (N, K):
+        monkeypatch.setattr(module, "BLOCK_ROWS", 64)
+    monkeypatch.setattr(N, "WIDE_ROWS", 100)
+    monkeypatch.setattr(N, "BROADCAST_ROWS", 200)
+    got = {}
+    for p in K.support_set(points, labels, 5, 3).collect():
+        got.setdefault((p.ci, p.cj, p.kind), set()).add((p.id_i, p.id_j))
+    for a in range(3):
+        for b in range(a + 1, 3):
+            pairs = [(round(float(np.sqrt(((x[i] - x[j]) ** 2).sum())), 9), int(i), int(j)) for i in np.flatnonzero(c == a) for j in np.flatnonzero(c == b)]
+            assert got[a, b, "near"] == {(i, j) for _, i, j in sorted(pairs)[:5]}
+            assert got[a, b, "far"] == {(i, j) for _, i, j in sorted((-d, i, j) for d, i, j in pairs)[:3]}
+    far = [(p.src, p.dst) for p in N.farthest_pairs(points, 7).collect()]
+    every = sorted((-round(float(np.sqrt(((x[i] - x[j]) ** 2).sum())), 6), i, j) for i in range(300) for j in range(i + 1, 300))
+    assert far == [(i, j) for _, i, j in every[:7]]
+
+
+def test_all_pairs_are_made_without_joins(spark, sf_dir):
+    for name in ("double_center", "farthest_pairs", "map_relational", "support_near", "support_far"):
+        plan = catalogue.queries()[name](spark, sf_dir)._jdf.queryExecution().executedPlan().toString()
+        assert "Join" not in plan, name
+
+
+def test_more_points_than_one_task_solves_are_embedded_alike(spark, sf_dir, monkeypatch):
+    d = W.scene(spark, sf_dir, "roll", 300)
+    a = S.spectral_embed(d, 8, 2)
+    monkeypatch.setattr(S, "LOCAL_ROWS", 200)
+    b = S.spectral_embed(d, 8, 2)
+    assert M.procrustes_error(a, b) < 1e-8
+
+
+def test_values_from_moments_equal_those_of_the_points():
+    r = np.random.default_rng(3)
+    x = r.standard_normal((400, 10)) * np.linspace(1, 0.05, 10)
+    d = X.squared_distances(x[:20], x)
+    for radius, rows, s, counts in P.ball_spectra(x[:20], d, x, [0.8, 1.5, 2.5]):
+        for i, values, n in zip(rows, s, counts):
+            ball = x[d[i] <= radius * radius]
+            assert n == len(ball) and np.allclose(values, P.planes_of(ball[None], 1)[1][0], atol=1e-9)
