@@ -114,3 +114,11 @@ def test_values_from_moments_equal_those_of_the_points():
         for i, values, n in zip(rows, s, counts):
             ball = x[d[i] <= radius * radius]
             assert n == len(ball) and np.allclose(values, P.planes_of(ball[None], 1)[1][0], atol=1e-9)
+
+
+def test_a_bucket_of_many_copies_makes_no_pairs_of_all(spark):
+    points = spark.range(3_000).selectExpr("id", "array(0.5D, 0.5D) AS x")
+    e = N.knn_lsh(points, 4, 1.0, 0.5, tables=2)
+    assert "SortMergeJoin" not in e._jdf.queryExecution().toString()
+    rows = e.where("src IN (0, 2, 2999)").collect()
+    assert sorted((r.src, r.dst, r.rk) for r in rows) == [(0, d, d) for d in (1, 2, 3, 4)] + [(2, 0, 1), (2, 1, 2), (2, 3, 3), (2, 4, 4)] + [(2999, d, d + 1) for d in range(4)]
