@@ -3,6 +3,7 @@
 import math
 
 import numpy as np
+from pyspark.sql import functions as F
 
 from tangentia.functions import numeric as X
 from tangentia.functions.vectors import vec_round
@@ -11,7 +12,9 @@ from tangentia.operators import neighbors as N
 from tangentia.operators import spectral as S
 from tangentia.operators import stitch as K
 from tangentia.operators import tangent as P
+from tangentia.operators.mapper import chosen_by
 from tangentia.plans import catalogue
+from tangentia.plans import engine as E
 from tangentia.sources import workloads as W
 
 
@@ -122,3 +125,72 @@ def test_a_bucket_of_many_copies_makes_no_pairs_of_all(spark):
     assert "SortMergeJoin" not in e._jdf.queryExecution().toString()
     rows = e.where("src IN (0, 2, 2999)").collect()
     assert sorted((r.src, r.dst, r.rk) for r in rows) == [(0, d, d) for d in (1, 2, 3, 4)] + [(2, 0, 1), (2, 1, 2), (2, 3, 3), (2, 4, 4)] + [(2999, d, d + 1) for d in range(4)]
+
+
+def test_paths_of_a_group_equal_those_of_single_sources():
+    r = np.random.default_rng(4)
+    n = 150
+    src, dst = r.integers(0, n - 5, 700), r.integers(0, n - 5, 700)  # the last points have no arcs
+    w = r.random(700)
+    want = np.full((n, n), np.inf)
+    np.minimum.at(want, (src, dst), w)
+    np.fill_diagonal(want, 0)
+    for k in range(n):
+        want = np.minimum(want, want[:, k : k + 1] + want[k])
+    order = X.graph_order(n, np.r_[src, dst], np.r_[dst, src], np.r_[w, w])
+    assert sorted(order) == list(range(n))
+    got = X.shortest_paths(n, src, dst, w, order)
+    assert np.allclose(got, want[order], atol=1e-12) and (np.isinf(got) == np.isinf(want[order])).all()
+
+
+def test_block_steps_equal_the_dense_problem(monkeypatch):
+    r = np.random.default_rng(5)
+    x = r.standard_normal((300, 6)) * (5, 3, 2, 1, 0.5, 0.1)
+    gram = X.centred_gram(np.sqrt(X.squared_distances(x, x)) ** 0.9)
+    value, vector = X.top_eigen(gram, 3)
+    monkeypatch.setattr(X, "DENSE_ROWS", 40)
+    again, other = X.top_eigen(gram, 3)
+    assert np.allclose(value, again, rtol=1e-12) and np.allclose(vector, other, atol=1e-6)
+
+
+def test_a_model_that_leaves_its_paths_in_a_table_maps_alike(spark, sf_dir, monkeypatch):
+    d = W.scene(spark, sf_dir, "patches", 500)
+    batch, stream = d.where("id % 2 = 0"), d.where("id % 2 = 1").select("id", "x", "y_true").unionByName(spark.createDataFrame([(10_000, None, 7), (10_001, [1.0], 7)], "id long, x array<double>, y_true int"))
+    held = E.fit(batch, E.EmbedParams(), batch.select("id", F.col("y_true").alias("cluster")))
+    monkeypatch.setattr(E, "HELD_CELLS", 0)
+    monkeypatch.setattr("tangentia.operators.mapper.PIECE_ROWS", 100)
+    left = E.fit(batch, E.EmbedParams(), batch.select("id", F.col("y_true").alias("cluster")))
+    assert all(f.g is None for f in left.manifolds) and held.paths is None
+    a, b = ({r["id"]: r for r in E.transform(stream, m, "anchor", keep=("y_true",)).collect()} for m in (held, left))
+    assert a.keys() == b.keys() and len(a) == 252
+    for i, r in a.items():
+        s = b[i]
+        assert (r["manifold"], r["y_true"]) == (s["manifold"], s["y_true"])
+        if r["manifold"] is not None:
+            assert np.allclose(r["y_global"], s["y_global"], atol=1e-9) and np.allclose(r["y_local"], s["y_local"], atol=1e-9) and abs(r["score"] - s["score"]) < 1e-12
+    assert b[10_000]["manifold"] is None and b[10_001]["y_local"] is None
+
+
+def test_clusters_too_large_for_a_task_are_embedded_alike(spark, sf_dir, monkeypatch):
+    d = W.scene(spark, sf_dir, "patches", 500)
+    labels = d.select("id", F.least("y_true", F.lit(2)).alias("cluster"))
+    a = E.embed_clusters(d, labels, 8, 2)
+    monkeypatch.setattr(E, "DENSE_ROWS", 150)  # one of three clusters is larger
+    b = E.embed_clusters(d, labels, 8, 2)
+    monkeypatch.setattr(E, "DENSE_ROWS", 100)
+    monkeypatch.setattr(E, "CHUNK_CELLS", 20_000)  # two go at a time, the third alone
+    c = E.embed_clusters(d, labels, 8, 2)
+    one = {r["id"]: r["y"] for r in a.collect()}
+    for other in (b, c):
+        rows = {r["id"]: r["y"] for r in other.collect()}
+        assert rows.keys() == one.keys() and max(abs(u - v) for i, y in rows.items() for u, v in zip(y, one[i])) < 1e-6
+
+
+def test_rules_in_one_pass_choose_as_each_by_itself(spark, sf_dir):
+    d = W.scene(spark, sf_dir, "spheres", 600)
+    batch, stream = d.where("id < 300"), d.where("id >= 300").select("id", "x").unionByName(spark.createDataFrame([(9_999, None)], "id long, x array<double>"))
+    model = E.fit(batch, E.EmbedParams(), batch.select("id", F.col("y_true").alias("cluster")))
+    got = {r["id"]: (r["global"], r["local"], r["anchor"]) for r in chosen_by(stream, model).collect()}
+    ways = [E.transform(stream, model, select, space) for select, space in (("center", "global"), ("center", "local"), ("anchor", "global"))]
+    each = [{r["id"]: r["manifold"] for r in w.collect()} for w in ways]
+    assert len(got) == len(each[0]) and all(got[i] == tuple(e[i] for e in each) for i in got) and got[9_999] == (None, None, None)
