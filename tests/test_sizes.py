@@ -194,3 +194,14 @@ def test_rules_in_one_pass_choose_as_each_by_itself(spark, sf_dir):
     ways = [E.transform(stream, model, select, space) for select, space in (("center", "global"), ("center", "local"), ("anchor", "global"))]
     each = [{r["id"]: r["manifold"] for r in w.collect()} for w in ways]
     assert len(got) == len(each[0]) and all(got[i] == tuple(e[i] for e in each) for i in got) and got[9_999] == (None, None, None)
+
+
+def test_a_stream_in_one_small_file_is_dealt_to_tasks(spark, sf_dir, monkeypatch):
+    from tangentia.plans import experiments as Q
+
+    batch, stream = Q.batch_and_stream(spark, sf_dir, "roll_plane")
+    n = batch.count() + stream.count()
+    monkeypatch.setattr(Q, "TASK_ROWS", 100)
+    again, dealt = Q.batch_and_stream(spark, sf_dir, "roll_plane")
+    assert dealt.rdd.getNumPartitions() == -(-n // 100)
+    assert sorted(r[0] for r in again.select("id").union(dealt.select("id")).collect()) == sorted(r[0] for r in batch.select("id").union(stream.select("id")).collect())
