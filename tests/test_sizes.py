@@ -205,3 +205,31 @@ def test_a_stream_in_one_small_file_is_dealt_to_tasks(spark, sf_dir, monkeypatch
     again, dealt = Q.batch_and_stream(spark, sf_dir, "roll_plane")
     assert dealt.rdd.getNumPartitions() == -(-n // 100)
     assert sorted(r[0] for r in again.select("id").union(dealt.select("id")).collect()) == sorted(r[0] for r in batch.select("id").union(stream.select("id")).collect())
+
+
+def test_blocks_in_many_dimensions_go_to_the_points_and_no_visit_is_shuffled(spark, monkeypatch):
+    r = np.random.default_rng(6)
+    x = (r.random((1_200, 7)) ** 3).round(2)
+    x[:90] = x[0]
+    x[90] = 1e6
+    ids = r.permutation(5_000)[:1_200]
+    points = spark.createDataFrame([(int(i), v.tolist()) for i, v in zip(ids, x)] + [(9_000, None), (9_001, [1.0])], "id long, x array<double>")
+    e = N.knn_blocked(points, 6, 5)
+    assert "FlatMapCoGroups" not in e._jdf.queryExecution().toString()
+    got = sorted((v.src, v.dst, v.rk) for v in e.collect())
+    assert got == brute(ids, x, 6)
+    monkeypatch.setattr(N, "HELD_CELLS", 1_000)
+    assert sorted((v.src, v.dst, v.rk) for v in N.knn_blocked(points, 6, 5).collect()) == got
+
+
+def test_a_large_undirected_graph_is_contracted(spark, monkeypatch):
+    from tangentia.operators import graph as G
+
+    n = 300  # a long path, a triangle, and points without arcs
+    arcs = spark.createDataFrame([(i, i + 1) for i in range(n - 1)] + [(400, 401), (401, 402), (402, 400)], "src long, dst long")
+    points = spark.createDataFrame([(i,) for i in [*range(n), 400, 401, 402, 500]], "id long")
+    ranks = G.seed_order(points)
+    one = {r["id"]: r["label"] for r in G.batch_labels(arcs, ranks, directed=False).collect()}
+    monkeypatch.setattr(G, "BATCH_ARCS", 10)
+    monkeypatch.setattr(G, "directed_min_label", None)  # a step for each arc of the longest path
+    assert {r["id"]: r["label"] for r in G.batch_labels(arcs, ranks, directed=False).collect()} == one and len(set(one.values())) == 3
