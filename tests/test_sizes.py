@@ -233,3 +233,12 @@ def test_a_large_undirected_graph_is_contracted(spark, monkeypatch):
     monkeypatch.setattr(G, "BATCH_ARCS", 10)
     monkeypatch.setattr(G, "directed_min_label", None)  # a step for each arc of the longest path
     assert {r["id"]: r["label"] for r in G.batch_labels(arcs, ranks, directed=False).collect()} == one and len(set(one.values())) == 3
+
+
+def test_pairs_made_one_by_one_are_dealt_to_tasks(spark, monkeypatch):
+    points = spark.createDataFrame([(i, [float(i % 7), float(i)]) for i in range(60)], "id long, x array<double>").coalesce(1)
+    monkeypatch.setattr(N, "EXPRESSION_PAIRS", 400)
+    plan = N.knn_exact(points, 3)._jdf.queryExecution().toString()
+    assert "NestedLoop" in plan and "hashpartitioning(id" in plan and ", 9), REPARTITION_BY_NUM" in plan
+    x = np.array([[float(i % 7), float(i)] for i in range(60)])
+    assert sorted((r.src, r.dst, r.rk) for r in N.knn_exact(points, 3).collect()) == brute(np.arange(60), x, 3)
