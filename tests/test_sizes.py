@@ -242,3 +242,33 @@ def test_pairs_made_one_by_one_are_dealt_to_tasks(spark, monkeypatch):
     assert "NestedLoop" in plan and "hashpartitioning(id" in plan and ", 9), REPARTITION_BY_NUM" in plan
     x = np.array([[float(i % 7), float(i)] for i in range(60)])
     assert sorted((r.src, r.dst, r.rk) for r in N.knn_exact(points, 3).collect()) == brute(np.arange(60), x, 3)
+
+
+def test_parts_of_a_block_give_its_nearest_rows_and_few_of_them_are_visited(monkeypatch):
+    r = np.random.default_rng(7)
+    x = r.random((3_000, 3)).round(2)
+    x[:200], x[200] = x[0], 50.0
+    ids = r.permutation(9_000)[:3_000]
+    visited = []
+    searched = N.searched
+    monkeypatch.setattr(N, "searched", lambda held, lower, upper, q, own, block, k, reach=None: (visited.append(len(held.first)), searched(held, lower, upper, q, own, block, k, reach))[1])
+    row, dst, dist = N.nearest_by_parts(x, ids, x, ids, 6)
+    places, dists = X.nearest(x, x, ids, 6, ids)
+    assert min(visited) > 8 and (row == np.repeat(np.arange(3_000), 6)).all() and (dst == ids[places].ravel()).all() and np.allclose(dist, dists.ravel(), atol=1e-12)
+    reach = np.full(3_000, 0.02)
+    row, dst, dist = N.nearest_by_parts(x, ids, x, ids, 6, reach)
+    near = dists <= 0.02 * (1 + 1e-9) + 1e-12
+    assert (dst == ids[places][near]).all() and (np.bincount(row, minlength=3_000) == near.sum(1)).all()
+    far = np.array([[0.0, 0.0], [1e160, 0.0], [0.0, 3.0], [1.0, 0.0]])  # squares overflow
+    row, dst, _ = N.nearest_by_parts(far, np.arange(4), far, np.arange(4), 1)
+    assert dst[row != 1].tolist() == [3, 0, 0]
+    same = np.ones((5, 2))
+    assert N.nearest_by_parts(same, np.arange(5), same, np.arange(5), 2)[1].tolist() == [1, 2, 0, 2, 0, 1, 0, 1, 0, 1]
+
+
+def test_few_bytes_that_make_many_pairs_do_not_share_a_task(spark, monkeypatch):
+    points = spark.createDataFrame([(i, [i % 40 / 40, i // 40 / 40]) for i in range(1_600)], "id long, x array<double>")
+    monkeypatch.setattr(N, "BLOCK_ROWS", 200)
+    e = N.radius_neighbors(points, 0.026)
+    assert e.rdd.getNumPartitions() >= 2
+    assert e.count() == 4 * 40 * 39
