@@ -5,6 +5,7 @@ import math
 import numpy as np
 from pyspark.sql import functions as F
 
+from tangentia import session
 from tangentia.functions import numeric as X
 from tangentia.functions.vectors import vec_round
 from tangentia.operators import metrics as M
@@ -272,3 +273,17 @@ def test_few_bytes_that_make_many_pairs_do_not_share_a_task(spark, monkeypatch):
     e = N.radius_neighbors(points, 0.026)
     assert e.rdd.getNumPartitions() >= 2
     assert e.count() == 4 * 40 * 39
+
+
+def test_a_written_table_frees_the_driver_where_its_heap_is_large(spark, monkeypatch):
+    beans = spark.sparkContext._jvm.java.lang.management.ManagementFactory.getGarbageCollectorMXBeans()
+    full = lambda: sum(b.getCollectionCount() for b in beans if "Old" in b.getName())
+    trimmed = []
+    trim = session.trim_native
+    monkeypatch.setattr(session, "trim_native", lambda s: trimmed.append(trim(s)))
+    for share, collections in ((2.0, 0), (0.0, 1)):
+        monkeypatch.setattr(session, "HEAP_SHARE", share)
+        before = full()
+        assert session.materialise(spark.range(3), "freed").count() == 3
+        assert full() - before == collections
+    assert trimmed == [True, True]
