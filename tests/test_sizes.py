@@ -287,3 +287,18 @@ def test_a_written_table_frees_the_driver_where_its_heap_is_large(spark, monkeyp
         assert session.materialise(spark.range(3), "freed").count() == 3
         assert full() - before == collections
     assert trimmed == [True, True]
+
+
+def test_an_embedding_of_more_points_than_are_collected_is_the_same(spark, monkeypatch):
+    r = np.random.default_rng(3)
+    x = np.column_stack([r.random((1_100, 2)), np.zeros(1_100)])
+    x[700:] += [3.0, 0.5, 0.0]
+    x[1_000:] += [0.0, 4.0, 0.0]
+    d = spark.createDataFrame([(i, v) for i, v in enumerate(x.tolist())] + [(5_000, [1.0]), (5_001, None)], "id long, x array<double>")
+    own = np.array([r["y"] for r in S.spectral_embed(d, 8, 2).orderBy("id").collect()])
+    monkeypatch.setattr(N, "BROADCAST_ROWS", 400)
+    monkeypatch.setattr(N, "WIDE_ROWS", 300)
+    monkeypatch.setattr(N.collect_points, "__defaults__", (400,))
+    monkeypatch.setattr(S, "HELD_LENGTHS", 1_000_000, raising=False)
+    many = np.array([r["y"] for r in S.spectral_embed(d, 8, 2).orderBy("id").collect()])
+    assert own.shape == many.shape == (1_100, 2) and np.abs(own - many).max() < 1e-6 * np.abs(own).max()
