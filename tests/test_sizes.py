@@ -302,3 +302,16 @@ def test_an_embedding_of_more_points_than_are_collected_is_the_same(spark, monke
     monkeypatch.setattr(S, "HELD_LENGTHS", 1_000_000, raising=False)
     many = np.array([r["y"] for r in S.spectral_embed(d, 8, 2).orderBy("id").collect()])
     assert own.shape == many.shape == (1_100, 2) and np.abs(own - many).max() < 1e-6 * np.abs(own).max()
+
+
+def test_more_points_than_a_task_holds_have_the_same_spectra(spark, sf_dir, monkeypatch):
+    r = np.random.default_rng(21)
+    cases = [(W.noisy_sphere(spark, sf_dir).select("id", "x"), [0.6, 1.0, 1.4]), (spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(r.random((400, 2)).round(2))], "id long, x array<double>"), [0.01, 0.3, 0.05])]
+    table = lambda d, s: {(x["id"], x["r"], x["i"]): (x["n"], x["sigma"]) for x in P.multiscale_svd(d, s).collect()}
+    whole = [table(d, s) for d, s in cases]
+    monkeypatch.setattr(N.collect_points, "__defaults__", (300,))
+    for name, value in {"BROADCAST_ROWS": 300, "WALK_ROWS": 64, "WALK_COLUMNS": 50, "PIECE_CELLS": 10_000, "MOMENT_CELLS": 200_000}.items():
+        monkeypatch.setattr(P, name, value, raising=False)
+    for (d, s), a in zip(cases, whole):
+        b = table(d, s)
+        assert a.keys() == b.keys() and all(a[k][0] == b[k][0] and abs(a[k][1] - b[k][1]) < 1e-7 for k in a)
