@@ -315,3 +315,31 @@ def test_more_points_than_a_task_holds_have_the_same_spectra(spark, sf_dir, monk
     for (d, s), a in zip(cases, whole):
         b = table(d, s)
         assert a.keys() == b.keys() and all(a[k][0] == b[k][0] and abs(a[k][1] - b[k][1]) < 1e-7 for k in a)
+
+
+def test_rounding_without_decimals_is_that_with_decimals(spark):
+    r = np.random.default_rng(22)
+    ties = np.concatenate([(r.integers(-(10**9), 10**9, 3_000) + 0.5) / 1e6 + e for e in (0.0, 1e-16, -1e-16, 1e-9)])
+    values = np.concatenate([ties, r.standard_normal(20_000), r.standard_normal(2_000) * 1e7, r.standard_normal(2_000) * 1e-6, [1e300, -1e300, np.inf, -np.inf, np.nan, 99_999.9999995]])
+    d = spark.createDataFrame([(float(v),) for v in values], "v double")
+    for a, b in d.select(catalogue.r6("v")[0], F.round("v", 6).alias("b")).collect():
+        assert a == b or (math.isnan(a) and math.isnan(b))
+
+
+def test_paths_of_samples_through_a_large_batch_are_not_shuffled(spark, sf_dir, monkeypatch):
+    from tangentia.operators import mapper
+
+    rows = lambda: {(x["id"], x["anchor"]): x["g"] for x in catalogue.queries()["map_relational"](spark, sf_dir).collect()}
+    d = W.raw_digits(spark, sf_dir).toPandas()
+    x, y = np.stack(d["x"].to_numpy()), d["y_true"].to_numpy()
+    a, b, i, j = x[y >= 5], x[y < 5], d["id"].to_numpy()[y >= 5], d["id"].to_numpy()[y < 5]
+    across, within = np.sqrt(X.squared_distances(a, b)), np.sqrt(X.squared_distances(b, b))
+    near = np.argsort(np.round(across, 12), axis=1, kind="stable")[:, :4]
+    g = np.min([np.take_along_axis(across, near[:, [k]], 1) + within[near[:, k]] for k in range(4)], 0)
+    expected = {(int(i[p]), int(j[q])): g[p, q] for p in range(len(i)) for q in range(len(j))}
+    monkeypatch.setattr(N.collect_points, "__defaults__", (150,))
+    for module, name, value in ((N, "BROADCAST_ROWS", 150), (N, "WIDE_ROWS", 100), (N, "CHUNK_CELLS", 2_000), (mapper, "NEAR_ROWS", 400)):
+        monkeypatch.setattr(module, name, value, raising=False)
+    got = rows()
+    assert got.keys() == expected.keys() and all(abs(got[k] - expected[k]) < 1e-6 for k in got)
+    assert "Exchange" not in catalogue.queries()["map_relational"](spark, sf_dir)._jdf.queryExecution().executedPlan().toString()
