@@ -343,3 +343,11 @@ def test_paths_of_samples_through_a_large_batch_are_not_shuffled(spark, sf_dir,
     got = rows()
     assert got.keys() == expected.keys() and all(abs(got[k] - expected[k]) < 1e-6 for k in got)
     assert "Exchange" not in catalogue.queries()["map_relational"](spark, sf_dir)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_distances_by_products_lose_no_digits_where_points_are_near():
+    r = np.random.default_rng(23)
+    x = np.concatenate([r.standard_normal((60, 7)), 1e4 + r.standard_normal((60, 7)) * 1e-4, np.full((2, 7), 1e4)])
+    assert np.allclose(X.distances(x[::3], x), np.sqrt(X.squared_distances(x[::3], x)), rtol=1e-12, atol=0)
+    assert np.array_equal(X.distances(x * 1e160, x[:3] * 1e160), np.sqrt(X.squared_distances(x * 1e160, x[:3] * 1e160)))
+    assert X.distances(np.zeros((0, 7)), x).shape == (0, len(x)) and X.distances(x, np.zeros((0, 7))).shape == (len(x), 0)
