@@ -351,3 +351,43 @@ def test_distances_by_products_lose_no_digits_where_points_are_near():
     assert np.allclose(X.distances(x[::3], x), np.sqrt(X.squared_distances(x[::3], x)), rtol=1e-12, atol=0)
     assert np.array_equal(X.distances(x * 1e160, x[:3] * 1e160), np.sqrt(X.squared_distances(x * 1e160, x[:3] * 1e160)))
     assert X.distances(np.zeros((0, 7)), x).shape == (0, len(x)) and X.distances(x, np.zeros((0, 7))).shape == (len(x), 0)
+
+
+def test_rounds_that_work_out_all_lengths_anew_are_few(spark, sf_dir, monkeypatch):
+    d = W.scene(spark, sf_dir, "roll", 1_000).unionByName(W.scene(spark, sf_dir, "spheres", 400).selectExpr("id + 5000 id", "transform(x, v -> v + 5) x", "y_true", "u", "ts"))
+    count, steps = [], X.krylov
+
+    def counted(*a, **b):
+        inner = steps(*a, **b)
+        block = next(inner)
+        while True:
+            count.append(block.shape[1])
+            try:
+                block = inner.send((yield block))
+            except StopIteration as e:
+                return e.value
+
+    monkeypatch.setattr(S, "krylov", counted)
+    own = np.array([r["y"] for r in S.spectral_embed(d, 8, 2).orderBy("id").collect()])
+    kept = len(count)
+    monkeypatch.setattr(S, "HELD_LENGTHS", 1_000_000)
+    many = np.array([r["y"] for r in S.spectral_embed(d, 8, 2).orderBy("id").collect()])
+    assert own.shape == many.shape == (1_400, 2) and np.abs(own - many).max() < 1e-6 * np.abs(own).max()
+    assert len(count) - kept < kept
+
+
+def test_path_lengths_are_those_of_a_dense_table_with_parallel_arcs_and_none():
+    r = np.random.default_rng(24)
+    src, dst, dist = r.integers(0, 200, 900), r.integers(0, 200, 900), r.random(900).round(2)
+    g = np.full((210, 210), np.inf)
+    np.minimum.at(g, (src, dst), dist)
+    np.fill_diagonal(g, 0.0)
+    for k in range(210):
+        g = np.minimum(g, g[:, k : k + 1] + g[k])
+    for arcs in (8_192, 7):
+        held, X.ARCS = X.ARCS, arcs
+        try:
+            assert np.allclose(X.shortest_paths(210, src, dst, dist, np.arange(210)), g)
+        finally:
+            X.ARCS = held
+    assert np.isinf(X.shortest_paths(3, src[:0], dst[:0], dist[:0], np.arange(3))).sum() == 6
